@@ -18,7 +18,6 @@ Links inside one component need not be listed, so groups of thousands of copies
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
 from fractions import Fraction
 
@@ -27,12 +26,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexbridge.llm import tokens
+from lexbridge.llm import tables, tokens
 from lexbridge.llm.graph import components
 from lexbridge.llm.scratch import Scratch
 
 SKETCH_BITS = 20
-_PARTS = 16
 LEADER_ROUNDS = 2
 
 
@@ -63,33 +61,15 @@ def _prints(k: int):
                 table += np.bincount(np.concatenate(held), minlength=len(table))
             none = pa.nulls(batch.num_rows)
             yield pa.record_batch([batch.column("doc_id"), pa.array(n), pa.array(fp1.view(np.int64)), pa.array(fp2.view(np.int64)), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
-        for part, piece in enumerate(np.split(table, _PARTS)):
-            if piece.any():
-                blob = zlib.compress(piece.tobytes(), 1)
-                yield pa.record_batch([pa.array([None], pa.int64()), pa.array([None], pa.int32()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([part], pa.int32()), pa.array([blob], pa.binary())], names=names)
+        for part, blob in tables.pieces(table):
+            yield pa.record_batch([pa.array([None], pa.int64()), pa.array([None], pa.int32()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([part], pa.int32()), pa.array([blob], pa.binary())], names=names)
 
     return run
 
 
-def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Sums the pieces of each part as they stream by: at most one table in memory."""
-    total: dict[int, np.ndarray] = {}
-    for batch in batches:
-        for part, blob in zip(batch.column("part").to_pylist(), batch.column("blob"), strict=True):
-            piece = np.frombuffer(zlib.decompress(blob.as_py()), dtype=np.int64)
-            total[part] = total[part] + piece if part in total else piece
-    if total:
-        yield pa.record_batch([pa.array(list(total), pa.int32()), pa.array([zlib.compress(v.tobytes(), 1) for v in total.values()], pa.binary())], names=["part", "blob"])
-
-
 def _levels(pieces: DataFrame) -> np.ndarray:
     """How over-used each bucket is, in powers of two: 0 for the ordinary ones. One megabyte whatever the input."""
-    summed = pieces.repartition("part", F.pmod(F.xxhash64("blob"), F.lit(8))).mapInArrow(_add_up, "part int, blob binary")
-    summed = summed.repartition("part").mapInArrow(_add_up, "part int, blob binary")
-    table = np.zeros(1 << SKETCH_BITS, dtype=np.int64)
-    width = len(table) // _PARTS
-    for row in summed.collect():  # 16 rows of a fixed size
-        table[row.part * width : (row.part + 1) * width] += np.frombuffer(zlib.decompress(row.blob), dtype=np.int64)
+    table = tables.add_up(pieces, np.zeros(1 << SKETCH_BITS, dtype=np.int64))
     mean = table.mean()
     usual = mean + 8 * np.sqrt(mean) + 16
     return np.ceil(np.log2(np.maximum(table / usual, 1))).astype(np.uint8)

@@ -6,18 +6,46 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from lexbridge.llm import line_dedup, mixing
 from lexbridge.llm.jaccard_join import link_components
+from lexbridge.llm.language_id import language_report
+from lexbridge.llm.line_dedup import dedup_lines
+from lexbridge.llm.mixing import mix_sources
+from lexbridge.llm.toxicity import toxicity_report
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_report(_table(spark, sf_dir, "documents"))
+
+
+def op2_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix_sources(_table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
+
+
 def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return link_components(_table(spark, sf_dir, "documents"))
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity_report(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return dedup_lines(_table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_language_id": op1_language_id,
+    "op2_mix_sources": op2_mix_sources,
     "op3_ngram_jaccard_join": op3_ngram_jaccard_join,
+    "op5_toxicity": op5_toxicity,
+    "op10_line_dedup": op10_line_dedup,
+}
+ORACLES: dict[str, str] = {
+    "op2_mix_sources": mixing.ORACLE,
+    "op10_line_dedup": line_dedup.ORACLE,
 }
-ORACLES: dict[str, str] = {}

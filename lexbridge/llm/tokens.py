@@ -64,15 +64,15 @@ def chunks(offsets: np.ndarray, limit: int = CHUNK_BYTES) -> Iterator[tuple[int,
         row = end
 
 
-def word_hashes(raw: np.ndarray, offsets: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def word_hashes(raw: np.ndarray, offsets: np.ndarray, blank: np.ndarray = _BLANK) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Word hashes of the documents of one chunk, each document's word range, and each word's byte start in the chunk."""
     base = int(offsets[0])
     b = raw[base : int(offsets[-1])]
     local = (offsets - base).astype(np.int64)
     if not len(b):
         return np.zeros(0, np.uint64), np.zeros(len(local), np.int64), np.zeros(0, np.int64)
-    b = _LOWER[b] if lower else b
-    solid = ~_BLANK[b]
+    b = _LOWER[b]
+    solid = ~blank[b]
     first = np.empty(len(b), dtype=bool)
     first[0] = solid[0]
     np.logical_and(solid[1:], ~solid[:-1], out=first[1:])
