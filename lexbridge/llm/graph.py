@@ -1,13 +1,41 @@
-"""Connected components over an edge table, by alternating large-star and small-star contractions."""
+"""Connected components over an edge table.
+
+Up to a counted bound of edges one task joins them in memory; beyond it, large-star and small-star contractions alternate.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from lexbridge.llm.scratch import Scratch
 
 
+ONE_TASK_EDGES = 500_000
+
+
+def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Union-find with the smallest node of a set as its root."""
+    up: dict[int, int] = {}
+
+    def root(x: int) -> int:
+        while (p := up.setdefault(x, x)) != x:
+            up[x] = x = up[p]
+        return x
+
+    for batch in batches:
+        for a, b in zip(batch.column("u").to_pylist(), batch.column("v").to_pylist(), strict=True):
+            a, b = root(a), root(b)
+            if a != b:
+                up[max(a, b)] = min(a, b)
+    if up:
+        nodes = list(up)
+        yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array([root(x) for x in nodes], pa.int64())], names=["node", "comp"])
+
+
 def _star(edges: DataFrame, small: bool) -> DataFrame:
     """One contraction. ``edges``: (u, v), u > v, distinct. Every node's neighbours are re-hung on the least node near it."""
     if small:
@@ -31,6 +59,8 @@ def components(edges: DataFrame, a: str, b: str, scratch: Scratch, name: str) ->
     """
     e = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u != v").distinct()
     e = scratch.keep(e, f"{name}-0")
+    if e.count() <= ONE_TASK_EDGES:
+        return scratch.keep(e.coalesce(1).mapInArrow(_joined, "node long, comp long"), name)
     mark, turn = None, 0
     while True:
         turn += 1

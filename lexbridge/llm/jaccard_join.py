@@ -8,9 +8,9 @@ Every document is a set of distinct 5-word shingles. Two link when ``100 * overl
 2. shingles are put in one global order, rarely used buckets first. If two sets link, they share a shingle among the first
    ``n - ceil(t * n) + 1`` of each (the size-derived bound), so only those entries of the matrix are multiplied.
    The bucket table decides the order and nothing else: a collision there costs time and never a link.
-3. rows of the product are formed shingle by shingle. In the first rounds every document meets one leader of
-   each shingle's column, so a column of m documents gives m - 1 pairs; columns whose documents are already in one component
-   leave. What is left is multiplied out in full. A pair goes on only if the sizes and the two positions of the shared
+3. rows of the product are formed shingle by shingle. First every document meets one leader of each shingle's column,
+   then its neighbour in a random order of the column, so a column of m documents gives m - 1 pairs a round; columns whose
+   documents are already in one component leave. What is left is multiplied out in full. A pair goes on only if the sizes and the two positions of the shared
    shingle still allow enough overlap, and is then verified on the two whole sets.
 
 Links inside one component need not be listed, so groups of thousands of copies cost a few pairs per copy.
@@ -24,14 +24,16 @@ from fractions import Fraction
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from lexbridge.llm import tables, tokens
 from lexbridge.llm.graph import components
-from lexbridge.llm.scratch import Scratch
+from lexbridge.llm.scratch import Scratch, small
 
 SKETCH_BITS = 20
-LEADER_ROUNDS = 2
+#: One round of leaders and two of chains, before what is left is multiplied out.
+ROUNDS = 3
 
 
 def _sets(batch: pa.RecordBatch, k: int) -> Iterator[tuple[int, np.ndarray]]:
@@ -169,22 +171,25 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
     prints = first.where("part is null").select("doc_id", "n", "fp1", "fp2")
     classes = scratch.keep(prints.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep")), "classes")
 
-    reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    entries = docs.join(reps, "doc_id", "left_semi").mapInArrow(_entries(k, threshold, levels), "h long, d long, n int, pos int")
+    spare = scratch.keep(prints.where("n > 0").join(classes, ["fp1", "fp2"]).where("doc_id != rep").select("doc_id").distinct(), "spare")
+    entries = docs.where("doc_id is not null").join(small(spare), "doc_id", "left_anti").mapInArrow(_entries(k, threshold, levels), "h long, d long, n int, pos int")
     held = entries.repartition("h").sortWithinPartitions("h").mapInArrow(_shared, "h long, d long, n int, pos int")
     posts = scratch.keep(held, "posts-0")
 
     room = _room(threshold)
     edges, tested, comps = None, None, None
-    for turn in range(LEADER_ROUNDS + 1):
+    for turn in range(ROUNDS + 1):
         if turn:
             posts = scratch.keep(_open_columns(posts, comps), f"posts-{turn}")
             if posts.isEmpty():
                 break
         named = posts if turn else posts.withColumn("comp", F.col("d"))
-        if turn < LEADER_ROUNDS:
-            lead = named.groupBy("h").agg(F.min(F.struct(F.xxhash64("d", F.lit(turn)).alias("o"), "d", "n", "pos", "comp")).alias("l"))
+        if turn == 0:
+            lead = named.groupBy("h").agg(F.min(F.struct(F.xxhash64("d").alias("o"), "d", "n", "pos", "comp")).alias("l"))
             met = named.join(lead, "h").select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
+        elif turn < ROUNDS:
+            before = F.lag(F.struct("d", "n", "pos", "comp")).over(W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d"))
+            met = named.withColumn("l", before).select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
         else:
             other = named.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
             met = named.join(other, "h").where("d < d2")
@@ -211,8 +216,8 @@ def _open_columns(posts: DataFrame, comps: DataFrame) -> DataFrame:
 
 
 def _verified(docs: DataFrame, pairs: DataFrame, k: int, t: Fraction, scratch: Scratch, turn: int) -> DataFrame:
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
-    sets = scratch.keep(docs.join(ids, "doc_id", "left_semi").mapInArrow(_whole_sets(k), "doc_id long, s array<long>").dropDuplicates(["doc_id"]), f"sets-{turn}")
+    ids = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"ids-{turn}")
+    sets = scratch.keep(docs.join(small(ids), "doc_id", "left_semi").mapInArrow(_whole_sets(k), "doc_id long, s array<long>").dropDuplicates(["doc_id"]), f"sets-{turn}")
     left, right = sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb"))
     both = pairs.join(left, "a").join(right, "b")
     common = F.size(F.array_intersect("sa", "sb"))

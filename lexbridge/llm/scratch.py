@@ -7,6 +7,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -17,6 +18,15 @@ def shared_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir().rstrip("/")
 
 
+#: Rows of ids that may be broadcast: 8 bytes each, so some megabytes whatever the corpus.
+SMALL_IDS = 500_000
+
+
+def small(ids: DataFrame) -> DataFrame:
+    """A one-column id table, marked for broadcast only if its counted rows are within the bound."""
+    return F.broadcast(ids) if ids.count() <= SMALL_IDS else ids
+
+
 class Scratch:
     """Named parquet tables of one operator call.
 
@@ -32,6 +42,8 @@ class Scratch:
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.root}/{name}"
         df.write.mode("overwrite").parquet(path)
+        # the shuffles behind a written table are garbage now; Spark deletes their files when the JVM collects them
+        self.spark.sparkContext._jvm.System.gc()
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self, *names: str) -> None:
