@@ -7,11 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from lexbridge.llm import line_dedup, mixing
+from lexbridge.llm.embedding_dedup import near_duplicate_vectors
 from lexbridge.llm.jaccard_join import link_components
 from lexbridge.llm.language_id import language_report
 from lexbridge.llm.line_dedup import dedup_lines
 from lexbridge.llm.mixing import mix_sources
+from lexbridge.llm.pii import find_pii
 from lexbridge.llm.toxicity import toxicity_report
+from lexbridge.llm.url_filter import judge_urls
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,6 +37,18 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity_report(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
 
+def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_pii(_table(spark, sf_dir, "documents"))
+
+
+def op8_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicate_vectors(_table(spark, sf_dir, "embeddings"))
+
+
+def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge_urls(_table(spark, sf_dir, "pages"))
+
+
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(_table(spark, sf_dir, "documents"))
 
@@ -43,6 +58,9 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_mix_sources": op2_mix_sources,
     "op3_ngram_jaccard_join": op3_ngram_jaccard_join,
     "op5_toxicity": op5_toxicity,
+    "op6_pii": op6_pii,
+    "op8_embedding_dedup": op8_embedding_dedup,
+    "op9_url_filter": op9_url_filter,
     "op10_line_dedup": op10_line_dedup,
 }
 ORACLES: dict[str, str] = {
