@@ -10,8 +10,9 @@ Every document is a set of distinct 5-word shingles. Two link when ``100 * overl
    The bucket table decides the order and nothing else: a collision there costs time and never a link.
 3. rows of the product are formed shingle by shingle. First every document meets one leader of each shingle's column,
    then its neighbour in a random order of the column, so a column of m documents gives m - 1 pairs a round; columns whose
-   documents are already in one component leave. What is left is multiplied out in full. A pair goes on only if the sizes and the two positions of the shared
-   shingle still allow enough overlap, and is then verified on the two whole sets.
+   documents are already in one component leave. Only wide columns need those rounds; what is left, wide or narrow, is multiplied
+   out in full and the overlap of the first entries counted. A pair goes on only if sizes, positions and counts still allow
+   enough overlap, and is then verified on the two whole sets.
 
 Links inside one component need not be listed, so groups of thousands of copies cost a few pairs per copy.
 """
@@ -34,6 +35,8 @@ from lexbridge.llm.scratch import Scratch, small
 SKETCH_BITS = 20
 #: One round of leaders and two of chains, before what is left is multiplied out.
 ROUNDS = 3
+#: Columns of so many documents take part in those rounds.
+WIDE = 16
 
 
 def _sets(batch: pa.RecordBatch, k: int) -> Iterator[tuple[int, np.ndarray]]:
@@ -108,6 +111,13 @@ def _packed(hs, ds, ns, ps) -> pa.RecordBatch:
     return pa.record_batch([pa.array(np.concatenate(hs).view(np.int64)), pa.array(np.concatenate(ds)), pa.array(np.concatenate(ns)), pa.array(np.concatenate(ps))], names=["h", "d", "n", "pos"])
 
 
+def _rest(t: Fraction) -> str:
+    """What ``o`` shared first entries must allow: past its first entries a set can add no more than what is left of it."""
+    p, q = t.numerator, t.denominator
+    left = lambda n: f"(({p} * {n} + {q - 1}) div {q} - 1)"
+    return f"{p + q} * (o + greatest({left('na')}, {left('nb')})) >= {p} * (na + nb)"
+
+
 def _whole_sets(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -177,31 +187,36 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
     posts = scratch.keep(held, "posts-0")
 
     room = _room(threshold)
+    sides = [F.least("d", "d2").alias("a"), F.greatest("d", "d2").alias("b"), F.col("n").alias("na"), F.col("n2").alias("nb"), F.col("pos").alias("pa"), F.col("pos2").alias("pb")]
     edges, tested, comps = None, None, None
-    for turn in range(ROUNDS + 1):
+    wide = posts.groupBy("h").agg(F.count("*").alias("m")).where(F.col("m") >= WIDE).select("h")
+    wide = scratch.keep(posts.join(wide, "h", "left_semi").withColumn("comp", F.col("d")), "wide-0")
+    for turn in range(ROUNDS):
         if turn:
-            posts = scratch.keep(_open_columns(posts, comps), f"posts-{turn}")
-            if posts.isEmpty():
-                break
-        named = posts if turn else posts.withColumn("comp", F.col("d"))
+            wide = scratch.keep(_open_columns(wide, comps), f"wide-{turn}")
+        if wide.isEmpty():
+            break
         if turn == 0:
-            lead = named.groupBy("h").agg(F.min(F.struct(F.xxhash64("d").alias("o"), "d", "n", "pos", "comp")).alias("l"))
-            met = named.join(lead, "h").select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
-        elif turn < ROUNDS:
-            before = F.lag(F.struct("d", "n", "pos", "comp")).over(W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d"))
-            met = named.withColumn("l", before).select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
+            lead = wide.groupBy("h").agg(F.min(F.struct(F.xxhash64("d").alias("o"), "d", "n", "pos", "comp")).alias("l"))
+            met = wide.join(lead, "h")
         else:
-            other = named.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
-            met = named.join(other, "h").where("d < d2")
-        pairs = met.where("comp != comp2 and d != d2").select(F.least("d", "d2").alias("a"), F.greatest("d", "d2").alias("b"), F.expr("n as na"), F.expr("n2 as nb"), F.expr("pos as pa"), F.expr("pos2 as pb")).where(room).select("a", "b").distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = scratch.keep(pairs, f"pairs-{turn}")
+            met = wide.withColumn("l", F.lag(F.struct("d", "n", "pos", "comp")).over(W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d")))
+        met = met.select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
+        pairs = met.where("comp != comp2 and d != d2").select(*sides).where(room).select("a", "b").distinct()
+        pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs-{turn}")
         tested = pairs if tested is None else tested.unionByName(pairs)
         found = _verified(docs, pairs, k, threshold, scratch, turn)
         edges = found if edges is None else edges.unionByName(found)
         comps = components(edges, "a", "b", scratch, f"components-{turn}")
-    comps = comps if comps is not None else spark.createDataFrame([], "node long, comp long")
+    posts = scratch.keep(_open_columns(posts, comps), "open") if comps is not None else posts.withColumn("comp", F.col("d"))
+    other = posts.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
+    met = posts.join(other, "h").where("d < d2 and comp != comp2").select(*sides)
+    # every shared entry of such a pair stands in an open column, so the count is the whole overlap of the first entries
+    pairs = met.groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.min("pa").alias("pa"), F.min("pb").alias("pb"), F.count("*").alias("o")).where(room).where(_rest(threshold)).select("a", "b")
+    pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "pairs-rest")
+    found = _verified(docs, pairs, k, threshold, scratch, ROUNDS)
+    edges = found if edges is None else edges.unionByName(found)
+    comps = components(edges, "a", "b", scratch, "components")
     tagged = classes.join(comps, classes.rep == comps.node, "left").select("fp1", "fp2", F.coalesce("comp", "rep").alias("component_id"))
     return prints.join(tagged, ["fp1", "fp2"], "left").select(
         "doc_id", F.col("n").cast("long").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id")
