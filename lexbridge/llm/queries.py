@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from lexbridge.llm import line_dedup, mixing
+from lexbridge.llm.decontaminate import find_leaks
 from lexbridge.llm.embedding_dedup import near_duplicate_vectors
 from lexbridge.llm.jaccard_join import link_components
 from lexbridge.llm.language_id import language_report
@@ -41,6 +42,10 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_pii(_table(spark, sf_dir, "documents"))
 
 
+def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_leaks(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def op8_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicate_vectors(_table(spark, sf_dir, "embeddings"))
 
@@ -59,6 +64,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_ngram_jaccard_join": op3_ngram_jaccard_join,
     "op5_toxicity": op5_toxicity,
     "op6_pii": op6_pii,
+    "op7_decontaminate": op7_decontaminate,
     "op8_embedding_dedup": op8_embedding_dedup,
     "op9_url_filter": op9_url_filter,
     "op10_line_dedup": op10_line_dedup,
