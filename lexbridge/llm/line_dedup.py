@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexbridge.llm.scratch import Scratch
+from lexbridge.llm.scratch import Scratch, small
 
 
 def repeated_lines(docs: DataFrame, window: int, scratch: Scratch) -> DataFrame:
@@ -49,7 +49,7 @@ def dedup_lines(docs: DataFrame, window: int = 3) -> DataFrame:
     gone = repeated_lines(docs.select("doc_id", "text"), window, scratch)
     gone = scratch.keep(gone.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"), "gone"), "gone")
     scratch.drop("windows")
-    cut = docs.join(gone, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("text") == F.col("_mark")), "left")
+    cut = docs.join(small(gone, "2 + size(gone)"), F.col("doc_id").eqNullSafe(F.col("_id")) & (F.xxhash64("text") == F.col("_mark")), "left")
     lines = F.split(F.col("text"), "\n", -1)
     kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("gone"))
     short = F.when(F.col("gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda i: F.get(lines, i)), "\n"))

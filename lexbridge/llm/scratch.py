@@ -18,13 +18,17 @@ def shared_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir().rstrip("/")
 
 
-#: Rows of ids that may be broadcast: 8 bytes each, so some megabytes whatever the corpus.
-SMALL_IDS = 500_000
+#: Cells of keys that may be broadcast: 8 bytes each, so some megabytes whatever the corpus.
+SMALL_CELLS = 500_000
 
 
-def small(ids: DataFrame) -> DataFrame:
-    """A one-column id table, marked for broadcast only if its counted rows are within the bound."""
-    return F.broadcast(ids) if ids.count() <= SMALL_IDS else ids
+def small(keys: DataFrame, cells: str = "1") -> DataFrame:
+    """A table of keys, marked for broadcast only if its counted cells (``cells`` of each row) are within the bound.
+
+    Beyond the bound it is left to a shuffled join.
+    """
+    n = keys.agg(F.sum(F.expr(cells))).first()[0] or 0
+    return F.broadcast(keys) if n <= SMALL_CELLS else keys
 
 
 class Scratch:
