@@ -13,6 +13,7 @@ from lexbridge.llm.jaccard_join import link_components
 from lexbridge.llm.language_id import language_report
 from lexbridge.llm.line_dedup import dedup_lines
 from lexbridge.llm.mixing import mix_sources
+from lexbridge.llm.passage_dedup import repeated_passages
 from lexbridge.llm.pii import find_pii
 from lexbridge.llm.toxicity import toxicity_report
 from lexbridge.llm.url_filter import judge_urls
@@ -34,6 +35,10 @@ def op3_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return link_components(_table(spark, sf_dir, "documents"))
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_passages(_table(spark, sf_dir, "documents"))
+
+
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity_report(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
 
@@ -62,6 +67,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_language_id": op1_language_id,
     "op2_mix_sources": op2_mix_sources,
     "op3_ngram_jaccard_join": op3_ngram_jaccard_join,
+    "op4_substring_dedup": op4_substring_dedup,
     "op5_toxicity": op5_toxicity,
     "op6_pii": op6_pii,
     "op7_decontaminate": op7_decontaminate,

@@ -11,8 +11,9 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lexbridge.llm import tokens
@@ -108,6 +109,29 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 16_000, epo
     return _fit(bags, y, epochs, alpha, l1, l2, start)
 
 
+def _scored(m: ToxicModel, batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    score, worst, most = np.zeros(batch.num_rows), np.full(batch.num_rows, -1, np.int32), np.zeros(batch.num_rows)
+    for i, codes, sentence in _bags(batch):
+        pair = np.unique(codes + (sentence.astype(np.int64) << BITS))
+        logit = m.sentences(pair & ((1 << BITS) - 1), pair >> BITS)
+        score[i] = -np.expm1(-_softplus(logit).sum())
+        if len(codes):
+            worst[i] = int(logit.argmax())
+        most[i] = 1 / (1 + np.exp(-logit.max()))
+    return score, worst, most
+
+
+def toxic_score(spark: SparkSession, model: ToxicModel):
+    """A column function from a text to its score, for filters."""
+    shared = spark.sparkContext.broadcast(model)
+
+    @F.pandas_udf("double")
+    def score(text: pd.Series) -> pd.Series:
+        return pd.Series(_scored(shared.value, pa.record_batch([pa.array(text, pa.string())], names=["text"]))[0])
+
+    return score
+
+
 def score_toxicity(docs: DataFrame, model: ToxicModel) -> DataFrame:
     """doc_id, score, worst_sentence (its number, from 0), worst_score for every row of ``docs`` (doc_id, text).
 
@@ -116,16 +140,8 @@ def score_toxicity(docs: DataFrame, model: ToxicModel) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = shared.value
         for batch in batches:
-            score, worst, most = np.zeros(batch.num_rows), np.full(batch.num_rows, -1, np.int32), np.zeros(batch.num_rows)
-            for i, codes, sentence in _bags(batch):
-                pair = np.unique(codes + (sentence.astype(np.int64) << BITS))
-                logit = m.sentences(pair & ((1 << BITS) - 1), pair >> BITS)
-                score[i] = -np.expm1(-_softplus(logit).sum())
-                if len(codes):
-                    worst[i] = int(logit.argmax())
-                most[i] = 1 / (1 + np.exp(-logit.max()))
+            score, worst, most = _scored(shared.value, batch)
             yield pa.record_batch([batch.column("doc_id"), pa.array(score), pa.array(worst, mask=worst < 0), pa.array(most)], names=["doc_id", "score", "worst_sentence", "worst_score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double, worst_sentence int, worst_score double")
