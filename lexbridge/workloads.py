@@ -1,4 +1,12 @@
-"""Registered queries."""
+"""All registered queries of the methods, with their oracles."""
+
+from __future__ import annotations
+
+from lexbridge.plans import core
+from lexbridge.plans.core import flagship  # noqa: F401  the entry query
 
 QUERIES = {}
 ORACLES = {}
+for _part in (core,):
+    QUERIES.update(_part.QUERIES)
+    ORACLES.update(_part.ORACLES)
