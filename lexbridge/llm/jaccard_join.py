@@ -9,9 +9,9 @@ Every document is a set of distinct 5-word shingles. Two link when ``100 * overl
    ``n - ceil(t * n) + 1`` of each (the size-derived bound), so only those entries of the matrix are multiplied.
    The bucket table decides the order and nothing else: a collision there costs time and never a link.
 3. rows of the product are formed shingle by shingle. First every document meets one leader of each shingle's column,
-   then its neighbour in a random order of the column, so a column of m documents gives m - 1 pairs a round; columns whose
-   documents are already in one component leave. Only wide columns need those rounds; what is left, wide or narrow, is multiplied
-   out in full and the overlap of the first entries counted. A pair goes on only if sizes, positions and counts still allow
+   then a few neighbours in a random order of the column, so a column of m documents gives a few times m pairs a round; columns
+   whose documents are already in one component leave. Only wide columns need those rounds. What is left is multiplied out between
+   components: wide columns as far as positions allow, narrow ones with the overlap of the first entries counted. A pair goes on only if sizes, positions and counts still allow
    enough overlap, and is then verified on the two whole sets.
 
 Links inside one component need not be listed, so groups of thousands of copies cost a few pairs per copy.
@@ -19,6 +19,7 @@ Links inside one component need not be listed, so groups of thousands of copies
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from fractions import Fraction
 
@@ -37,6 +38,8 @@ SKETCH_BITS = 20
 ROUNDS = 3
 #: Columns of so many documents take part in those rounds.
 WIDE = 16
+#: Neighbours that a document meets in a column's order.
+NEIGHBOURS = 4
 
 
 def _sets(batch: pa.RecordBatch, k: int) -> Iterator[tuple[int, np.ndarray]]:
@@ -200,7 +203,9 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
             lead = wide.groupBy("h").agg(F.min(F.struct(F.xxhash64("d").alias("o"), "d", "n", "pos", "comp")).alias("l"))
             met = wide.join(lead, "h")
         else:
-            met = wide.withColumn("l", F.lag(F.struct("d", "n", "pos", "comp")).over(W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d")))
+            order = W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d")
+            near = F.array(*[F.lag(F.struct("d", "n", "pos", "comp"), i).over(order) for i in range(1, NEIGHBOURS + 1)])
+            met = wide.withColumn("near", near).select("*", F.explode(F.filter("near", lambda x: x.isNotNull() & (x.comp != F.col("comp")))).alias("l"))
         met = met.select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
         pairs = met.where("comp != comp2 and d != d2").select(*sides).where(room).select("a", "b").distinct()
         pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs-{turn}")
@@ -208,11 +213,22 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
         found = _verified(docs, pairs, k, threshold, scratch, turn)
         edges = found if edges is None else edges.unionByName(found)
         comps = components(edges, "a", "b", scratch, f"components-{turn}")
-    posts = scratch.keep(_open_columns(posts, comps), "open") if comps is not None else posts.withColumn("comp", F.col("d"))
-    other = posts.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
-    met = posts.join(other, "h").where("d < d2 and comp != comp2").select(*sides)
-    # every shared entry of such a pair stands in an open column, so the count is the whole overlap of the first entries
-    pairs = met.groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.min("pa").alias("pa"), F.min("pb").alias("pb"), F.count("*").alias("o")).where(room).where(_rest(threshold)).select("a", "b")
+    # what is left of wide columns, then the narrow ones with their overlap counted
+    rest = scratch.keep(_open_columns(posts, comps), "open") if comps is not None else posts.withColumn("comp", F.col("d"))
+    sizes = rest.groupBy("h").agg(F.count("*").alias("m"))
+    wide = rest.join(sizes.where(F.col("m") >= WIDE), "h", "left_semi")
+    narrow = rest.join(sizes.where(F.col("m") < WIDE), "h", "left_semi")
+    room_at = room
+    for new, old in (("na", "n"), ("nb", "n2"), ("pa", "pos"), ("pb", "pos2")):
+        room_at = re.sub(rf"\b{new}\b", old, room_at)
+    pairs = _crossed(wide, room_at).select(*sides).select("a", "b").distinct()
+    counted = _crossed(narrow, "true").select(*sides).groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.min("pa").alias("pa"), F.min("pb").alias("pb"), F.count("*").alias("o"))
+    spare = wide.groupBy("d").agg(F.count("*").alias("w"))
+    counted = counted.where(room)
+    for side in "ab":
+        counted = counted.join(spare.select(F.col("d").alias(side), F.col("w").alias(f"w{side}")), side, "left")
+    seen = F.col("o") + F.least(F.coalesce("wa", F.lit(0)), F.coalesce("wb", F.lit(0)))
+    pairs = pairs.unionByName(counted.withColumn("o", seen).where(_rest(threshold)).select("a", "b")).distinct()
     pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "pairs-rest")
     found = _verified(docs, pairs, k, threshold, scratch, ROUNDS)
     edges = found if edges is None else edges.unionByName(found)
@@ -230,6 +246,12 @@ def _open_columns(posts: DataFrame, comps: DataFrame) -> DataFrame:
     return named.join(still, "h", "left_semi")
 
 
+def _crossed(entries: DataFrame, allowed: str) -> DataFrame:
+    """Every two entries of a column whose documents are in different components, as far as allowed."""
+    other = entries.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
+    return entries.join(other, "h").where(F.expr("d < d2 and comp != comp2") & F.expr(allowed))
+
+
 def _verified(docs: DataFrame, pairs: DataFrame, k: int, t: Fraction, scratch: Scratch, turn: int) -> DataFrame:
     ids = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"ids-{turn}")
     sets = scratch.keep(docs.join(small(ids), "doc_id", "left_semi").mapInArrow(_whole_sets(k), "doc_id long, s array<long>").dropDuplicates(["doc_id"]), f"sets-{turn}")
