@@ -36,13 +36,17 @@ def _merge(dtype: str):
     return run
 
 
-def add_up(parts: DataFrame, like: np.ndarray) -> np.ndarray:
-    """Sums the packed tables of all tasks. Rows reaching the driver: 16 of a size that the table fixes."""
+def add_up(parts: DataFrame, like: np.ndarray, few: bool = False) -> np.ndarray:
+    """Sums the packed tables of all tasks. Rows reaching the driver: 16 of a size that the table fixes.
+
+    The sums go in two steps, unless the tasks are ``few``.
+    """
     dtype = like.dtype.str
-    some = parts.repartition("part", F.pmod(F.xxhash64("blob"), F.lit(8))).mapInArrow(_merge(dtype), SCHEMA)
+    some = parts if few else parts.repartition("part", F.pmod(F.xxhash64("blob"), F.lit(8))).mapInArrow(_merge(dtype), SCHEMA)
     total = np.zeros_like(like)
     views = np.array_split(total, _PARTS)
     for row in some.repartition("part").mapInArrow(_merge(dtype), SCHEMA).collect():
         piece = np.frombuffer(zlib.decompress(row.blob), dtype=dtype)
         views[row.part] += piece.reshape(views[row.part].shape)
+    parts.sparkSession.sparkContext._jvm.System.gc()  # lets Spark delete the shuffled tables' files
     return total
