@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -92,7 +94,8 @@ def td_sql(updates: str = "ups", name: str = "folded") -> str:
 
 
 def with_(*parts: str, select: str) -> str:
-    return "WITH " + ",\n".join(parts) + "\n" + select
+    # a word that DuckDB keeps for itself
+    return re.sub(r"(?<![\w\"'-])pivot(?![\w\"'])", '"pivot"', "WITH " + ",\n".join(parts) + "\n" + select)
 
 
 EVIDENCED = (CORPUS, INC, PAIRS["near"], POOL, POL, BANK, NAIVE, PSEUDO, EVIDENCE)

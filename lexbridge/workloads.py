@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from lexbridge.plans import core
+from lexbridge.plans import core, graph
 from lexbridge.plans.core import flagship  # noqa: F401  the entry query
 
 QUERIES = {}
 ORACLES = {}
-for _part in (core,):
+for _part in (core, graph):
     QUERIES.update(_part.QUERIES)
     ORACLES.update(_part.ORACLES)
