@@ -71,5 +71,6 @@ def components(edges: DataFrame, a: str, b: str, scratch: Scratch, name: str) ->
         if tuple(now) == mark:
             break
         mark = tuple(now)
+    e = scratch.keep(e, name)
     roots = e.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct()
     return e.select(F.col("u").alias("node"), F.col("v").alias("comp")).unionByName(roots)

@@ -11,8 +11,8 @@ Every document is a set of distinct 5-word shingles. Two link when ``100 * overl
 3. rows of the product are formed shingle by shingle. First every document meets one leader of each shingle's column,
    then a few neighbours in a random order of the column, so a column of m documents gives a few times m pairs a round; columns
    whose documents are already in one component leave. Only wide columns need those rounds. What is left is multiplied out between
-   components: wide columns as far as positions allow, narrow ones with the overlap of the first entries counted. A pair goes on only if sizes, positions and counts still allow
-   enough overlap, and is then verified on the two whole sets.
+   components, as far as positions allow. A pair goes on only if sizes, positions and the counted overlap of
+   the first entries still allow enough, and is then verified on the two whole sets.
 
 Links inside one component need not be listed, so groups of thousands of copies cost a few pairs per copy.
 """
@@ -191,6 +191,8 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
 
     room = _room(threshold)
     sides = [F.least("d", "d2").alias("a"), F.greatest("d", "d2").alias("b"), F.col("n").alias("na"), F.col("n2").alias("nb"), F.col("pos").alias("pa"), F.col("pos2").alias("pb")]
+    # each document's entries that another document shares: a small part of its first ones
+    lists = scratch.keep(posts.groupBy("d").agg(F.first("n").alias("n"), F.collect_set("h").alias("hs")), "lists")
     edges, tested, comps = None, None, None
     wide = posts.groupBy("h").agg(F.count("*").alias("m")).where(F.col("m") >= WIDE).select("h")
     wide = scratch.keep(posts.join(wide, "h", "left_semi").withColumn("comp", F.col("d")), "wide-0")
@@ -210,29 +212,21 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
         pairs = met.where("comp != comp2 and d != d2").select(*sides).where(room).select("a", "b").distinct()
         pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs-{turn}")
         tested = pairs if tested is None else tested.unionByName(pairs)
-        found = _verified(docs, pairs, k, threshold, scratch, turn)
+        found = _verified(docs, pairs, lists, k, threshold, scratch, turn)
         edges = found if edges is None else edges.unionByName(found)
         comps = components(edges, "a", "b", scratch, f"components-{turn}")
-    # what is left of wide columns, then the narrow ones with their overlap counted
     rest = scratch.keep(_open_columns(posts, comps), "open") if comps is not None else posts.withColumn("comp", F.col("d"))
-    sizes = rest.groupBy("h").agg(F.count("*").alias("m"))
-    wide = rest.join(sizes.where(F.col("m") >= WIDE), "h", "left_semi")
-    narrow = rest.join(sizes.where(F.col("m") < WIDE), "h", "left_semi")
-    room_at = room
+    at_place = room
     for new, old in (("na", "n"), ("nb", "n2"), ("pa", "pos"), ("pb", "pos2")):
-        room_at = re.sub(rf"\b{new}\b", old, room_at)
-    pairs = _crossed(wide, room_at).select(*sides).select("a", "b").distinct()
-    counted = _crossed(narrow, "true").select(*sides).groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.min("pa").alias("pa"), F.min("pb").alias("pb"), F.count("*").alias("o"))
-    spare = wide.groupBy("d").agg(F.count("*").alias("w"))
-    counted = counted.where(room)
-    for side in "ab":
-        counted = counted.join(spare.select(F.col("d").alias(side), F.col("w").alias(f"w{side}")), side, "left")
-    seen = F.col("o") + F.least(F.coalesce("wa", F.lit(0)), F.coalesce("wb", F.lit(0)))
-    pairs = pairs.unionByName(counted.withColumn("o", seen).where(_rest(threshold)).select("a", "b")).distinct()
+        at_place = re.sub(rf"\b{new}\b", old, at_place)
+    other = rest.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
+    met = rest.join(other, "h").where(F.expr("d < d2 and comp != comp2") & F.expr(at_place))
+    pairs = met.select(*sides).select("a", "b").distinct()
     pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "pairs-rest")
-    found = _verified(docs, pairs, k, threshold, scratch, ROUNDS)
+    found = _verified(docs, pairs, lists, k, threshold, scratch, ROUNDS)
     edges = found if edges is None else edges.unionByName(found)
     comps = components(edges, "a", "b", scratch, "components")
+    scratch.only("prints", "classes", "components")
     tagged = classes.join(comps, classes.rep == comps.node, "left").select("fp1", "fp2", F.coalesce("comp", "rep").alias("component_id"))
     return prints.join(tagged, ["fp1", "fp2"], "left").select(
         "doc_id", F.col("n").cast("long").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id")
@@ -246,19 +240,17 @@ def _open_columns(posts: DataFrame, comps: DataFrame) -> DataFrame:
     return named.join(still, "h", "left_semi")
 
 
-def _crossed(entries: DataFrame, allowed: str) -> DataFrame:
-    """Every two entries of a column whose documents are in different components, as far as allowed."""
-    other = entries.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
-    return entries.join(other, "h").where(F.expr("d < d2 and comp != comp2") & F.expr(allowed))
-
-
-def _verified(docs: DataFrame, pairs: DataFrame, k: int, t: Fraction, scratch: Scratch, turn: int) -> DataFrame:
-    ids = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"ids-{turn}")
+def _verified(docs: DataFrame, pairs: DataFrame, lists: DataFrame, k: int, t: Fraction, scratch: Scratch, turn: int) -> DataFrame:
+    """The pairs that link. The overlap of their first entries, which is known in full, sorts out most others before whole sets are moved."""
+    left, right = lists.select(F.col("d").alias("a"), F.col("n").alias("na"), F.col("hs").alias("ha")), lists.select(F.col("d").alias("b"), F.col("n").alias("nb"), F.col("hs").alias("hb"))
+    near = pairs.join(left, "a").join(right, "b").withColumn("o", F.size(F.array_intersect("ha", "hb"))).where(_rest(t)).select("a", "b")
+    near = scratch.keep(near, f"near-{turn}")
+    ids = scratch.keep(near.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct(), f"ids-{turn}")
     sets = scratch.keep(docs.join(small(ids), "doc_id", "left_semi").mapInArrow(_whole_sets(k), "doc_id long, s array<long>").dropDuplicates(["doc_id"]), f"sets-{turn}")
     left, right = sets.select(F.col("doc_id").alias("a"), F.col("s").alias("sa")), sets.select(F.col("doc_id").alias("b"), F.col("s").alias("sb"))
-    both = pairs.join(left, "a").join(right, "b")
+    both = near.join(left, "a").join(right, "b")
     common = F.size(F.array_intersect("sa", "sb"))
     links = both.where((t.numerator + t.denominator) * common >= t.numerator * (F.size("sa") + F.size("sb"))).select("a", "b")
     out = scratch.keep(links, f"edges-{turn}")
-    scratch.drop(f"sets-{turn}")
+    scratch.drop(f"sets-{turn}", f"near-{turn}", f"ids-{turn}")
     return out

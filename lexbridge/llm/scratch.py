@@ -41,10 +41,12 @@ class Scratch:
     def __init__(self, spark: SparkSession, owner: str):
         self.spark = spark
         self.root = f"{shared_dir(spark)}/{owner}-{uuid.uuid4().hex[:12]}"
+        self.names: set[str] = set()
         atexit.register(self._delete, self.root)
 
     def keep(self, df: DataFrame, name: str) -> DataFrame:
         path = f"{self.root}/{name}"
+        self.names.add(name)
         df.write.mode("overwrite").parquet(path)
         # the shuffles behind a written table are garbage now; Spark deletes their files when the JVM collects them
         self.spark.sparkContext._jvm.System.gc()
@@ -53,6 +55,11 @@ class Scratch:
     def drop(self, *names: str) -> None:
         for name in names:
             self._delete(f"{self.root}/{name}")
+        self.names -= {*names}
+
+    def only(self, *names: str) -> None:
+        """Drops all tables but those that the result still reads."""
+        self.drop(*(self.names - {*names}))
 
     def _delete(self, path: str) -> None:
         jvm = self.spark.sparkContext._jvm
