@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from lexbridge.plans import core, experiments, graph, paper_tables
+from lexbridge.plans import core, experiments, graph, paper_tables, relational, streams
 from lexbridge.plans.core import flagship  # noqa: F401  the entry query
 
 QUERIES = {}
 ORACLES = {}
-for _part in (core, graph, experiments, paper_tables):
+for _part in (core, graph, experiments, paper_tables, relational, streams):
     QUERIES.update(_part.QUERIES)
     ORACLES.update(_part.ORACLES)
