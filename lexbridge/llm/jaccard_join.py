@@ -59,12 +59,16 @@ def _prints(k: int):
         names = ["doc_id", "n", "fp1", "fp2", "part", "blob"]
         for batch in batches:
             n, fp1, fp2 = (np.zeros(batch.num_rows, dtype=t) for t in (np.int32, np.uint64, np.uint64))
-            held = []
+            held, size = [], 0
             for i, s in _sets(batch, k):
                 n[i] = len(s)
                 fp1[i] = np.add.reduce(tokens.mix(s), dtype=np.uint64)
                 fp2[i] = np.add.reduce(tokens.mix(s ^ np.uint64(0x5851F42D4C957F2D)), dtype=np.uint64)
                 held.append(_bucket(s))
+                size += len(s)
+                if size > 1_000_000:
+                    table += np.bincount(np.concatenate(held), minlength=len(table))
+                    held, size = [], 0
             if held:
                 table += np.bincount(np.concatenate(held), minlength=len(table))
             none = pa.nulls(batch.num_rows)

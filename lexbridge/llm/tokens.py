@@ -21,7 +21,7 @@ _BASE = np.uint64(0x9E3779B97F4A7C15)
 _STEP = np.uint64(0xD6E8FEB86659FD93)
 _M1 = np.uint64(0xBF58476D1CE4E5B9)
 _M2 = np.uint64(0x94D049BB133111EB)
-CHUNK_BYTES = 1 << 20
+CHUNK_BYTES = 1 << 19
 
 _powers = np.ones(1, dtype=np.uint64)
 

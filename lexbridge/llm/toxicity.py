@@ -45,8 +45,9 @@ def _bag_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         ids, labels, c, s = batch.column("doc_id").to_pylist(), batch.column("toxic").to_pylist(), [], []
         for _, codes, sentence in _bags(batch):
-            c.append(codes.astype(np.int32).tobytes())
-            s.append(sentence.astype(np.int32).tobytes())
+            pair = np.unique(codes + (sentence.astype(np.int64) << BITS))  # a word counts once in a sentence
+            c.append((pair & ((1 << BITS) - 1)).astype(np.int32).tobytes())
+            s.append((pair >> BITS).astype(np.int32).tobytes())
         yield pa.record_batch([pa.array(ids, pa.int64()), pa.array(labels, pa.int32()), pa.array(c, pa.binary()), pa.array(s, pa.binary())], names=["doc_id", "toxic", "codes", "sentence"])
 
 
@@ -90,7 +91,7 @@ def _fit(bags, y, epochs: int, alpha: float, l1: float, l2: float, start: float)
     return ToxicModel(w.astype(np.float32), float(bias))
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 16_000, epochs: int = 4, alpha: float = 0.5, l1: float = 0.6, l2: float = 0.1, start: float = -6.0) -> ToxicModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 12_000, epochs: int = 4, alpha: float = 0.5, l1: float = 0.6, l2: float = 0.1, start: float = -6.0) -> ToxicModel:
     """Learns from ``labels`` (doc_id, toxic) of documents that are not held out: at most ``max_rows`` labelled rows, the first by hash of the id.
 
     A document labelled twice counts as toxic if any label is 1; null labels are left out. Without labels every sentence keeps the start bias.
@@ -99,12 +100,12 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 16_000, epo
     picked = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
     rows = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").mapInArrow(_bag_rows, "doc_id long, toxic int, codes binary, sentence binary")
     bags, y = [], []
-    for r in sorted(rows.collect(), key=lambda r: (r.doc_id, r.codes)):  # at most max_rows documents
-        codes, sentence = np.frombuffer(r.codes, np.int32), np.frombuffer(r.sentence, np.int32)
-        pair = np.unique(codes.astype(np.int64) + (sentence.astype(np.int64) << BITS))  # a word counts once in a sentence
-        words, where = np.unique(pair & ((1 << BITS) - 1), return_inverse=True)
-        own = (pair >> BITS).astype(np.int64)
-        bags.append((words, where, own, int(own[-1]) + 1 if len(own) else 1))
+    got = sorted(rows.collect(), key=lambda r: (r.doc_id, r.codes), reverse=True)  # at most max_rows documents
+    while got:
+        r = got.pop()
+        own = np.frombuffer(r.sentence, np.int32)
+        words, where = np.unique(np.frombuffer(r.codes, np.int32), return_inverse=True)
+        bags.append((words, where.astype(np.int32), own, int(own[-1]) + 1 if len(own) else 1))
         y.append(r.toxic == 1)
     return _fit(bags, y, epochs, alpha, l1, l2, start)
 
