@@ -72,6 +72,7 @@ class Data:
     learnt: DataFrame | None
     general: DataFrame | None
     texts: DataFrame
+    prior: DataFrame
 
 
 def prepare(docs: DataFrame, pairs: DataFrame, cfg: M.TrainConfig, min_df: int = 5, open_sents: DataFrame | None = None, graph: bool = True, transductive: bool = False) -> Data:
@@ -83,7 +84,8 @@ def prepare(docs: DataFrame, pairs: DataFrame, cfg: M.TrainConfig, min_df: int =
     counts = P.word_counts(inc)
     pool = stage(P.candidate_pool(counts, pairs, min_df), "pool")
     fit_counts = P.word_counts(inc.where("split = 'train'"))
-    pol = stage(P.polarity(fit_counts), "pol")
+    pol, prior = P.polarity(fit_counts, cfg.min_labelled), P.label_prior(docs.where("split = 'train'"))
+    pol = stage(P.centred(pol, prior) if cfg.centred else pol, "pol")
     learnt = general = None
     if graph:
         targets = pairs.select(F.col("tgt").alias("domain")).distinct()
@@ -99,7 +101,7 @@ def prepare(docs: DataFrame, pairs: DataFrame, cfg: M.TrainConfig, min_df: int =
     both = pairs.select("src", "tgt", F.explode(F.array(F.struct(F.lit("S").alias("side"), F.col("src").alias("domain")), F.struct(F.lit("T").alias("side"), F.col("tgt").alias("domain")))).alias("x"))
     both = both.select("src", "tgt", "x.side", "x.domain")
     texts = docs.select("doc_id", "domain", "label", "split", X.word_list(F.col("text")).alias("words")).join(F.broadcast(both), "domain")
-    return Data(docs, pairs, inc, pool, pol, learnt, general, texts)
+    return Data(docs, pairs, inc, pool, pol, learnt, general, texts, prior if cfg.centred else prior.withColumn("prior", F.lit(0.0)))
 
 
 _FEATURES = "method string, src string, tgt string, side string, doc_id long, label int, split string, ix array<int>, v array<float>, mix array<int>, mv array<float>, piv array<string>"
@@ -277,4 +279,5 @@ def _learn(data: Data, scored: DataFrame, bank: DataFrame, cfg: M.TrainConfig, e
     free = scored.where("split = 'unlabelled'").drop("label")
     pseudo = B.pseudo_label(free, cfg.theta)
     ev = B.schedule(B.evidence(true_s, pseudo.where("side = 'S'"), pseudo.where("side = 'T'")), ("src", "tgt", "side"), cfg.seed + epoch)
+    ev = ev.join(F.broadcast(data.prior.withColumnRenamed("domain", "src")), "src").withColumn("label", F.col("label") - F.col("prior")).drop("prior")
     return B.td_exact(bank.select(*B.KEY, "p"), B.updates(ev, data.inc, data.pool), cfg.alpha).drop("n_updates")
