@@ -10,6 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from lexbridge import reach
 from lexbridge.llm.decontaminate import find_leaks
 from lexbridge.llm.jaccard_join import link_components
 from lexbridge.llm.line_dedup import dedup_lines
@@ -28,6 +29,7 @@ def _without(docs: DataFrame, ids: DataFrame, scratch: Scratch) -> DataFrame:
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the multiple-instance model scores under the threshold."""
+    reach(spark)
     model = fit_toxicity(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     return docs.where(toxic_score(spark, model)("text") < TOXIC)
 
@@ -42,6 +44,7 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The smallest id of each group of linked documents, in one row."""
+    reach(spark)
     scratch = Scratch(spark, "pipeline-near")
     groups = scratch.keep(link_components(docs), "groups")
     kept = _without(docs, groups.where("component_id != doc_id").select("doc_id"), scratch)
@@ -53,6 +56,7 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold no benchmark item."""
+    reach(spark)
     scratch = Scratch(spark, "pipeline-leaks")
     return _without(docs, find_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select("doc_id"), scratch)
 

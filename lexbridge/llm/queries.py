@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from lexbridge import reach
 from lexbridge.llm import line_dedup, mixing
 from lexbridge.llm.decontaminate import find_leaks
 from lexbridge.llm.embedding_dedup import near_duplicate_vectors
@@ -20,6 +21,7 @@ from lexbridge.llm.url_filter import judge_urls
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    reach(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
