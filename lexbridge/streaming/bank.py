@@ -11,9 +11,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from lexbridge import reach
+
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The events table as a file stream, with zoned timestamps for watermarks."""
+    reach(spark)
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
     reader = spark.readStream.schema(schema)
