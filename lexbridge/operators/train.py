@@ -281,3 +281,16 @@ def _learn(data: Data, scored: DataFrame, bank: DataFrame, cfg: M.TrainConfig, e
     ev = B.schedule(B.evidence(true_s, pseudo.where("side = 'S'"), pseudo.where("side = 'T'")), ("src", "tgt", "side"), cfg.seed + epoch)
     ev = ev.join(F.broadcast(data.prior.withColumnRenamed("domain", "src")), "src").withColumn("label", F.col("label") - F.col("prior")).drop("prior")
     return B.td_exact(bank.select(*B.KEY, "p"), B.updates(ev, data.inc, data.pool), cfg.alpha).drop("n_updates")
+
+
+def search(data: Data, method: str, configs: dict[str, M.TrainConfig]) -> DataFrame:
+    """(setting, src, tgt, epoch, accuracy): source dev accuracy of each setting, by which one is to be chosen; target labels play no part.
+
+    Settings that change the graph or the pool need their own ``data``.
+    """
+    out = None
+    for name, cfg in configs.items():
+        best = run(data, [method], cfg).dev.groupBy("src", "tgt").agg(F.max_by(F.struct("epoch", "accuracy"), F.struct("accuracy", -F.col("epoch"))).alias("b"))
+        row = best.select(F.lit(name).alias("setting"), "src", "tgt", "b.*")
+        out = row if out is None else out.unionByName(row)
+    return out

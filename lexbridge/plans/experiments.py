@@ -167,3 +167,10 @@ def kg_candidates_encoder(spark, sf_dir):
     """Candidate facts from the encoder's last layer."""
     f = GraphFrames(spark, sf_dir)
     return E.encoder_facts(f.sents, f.pivot_words, table(spark, sf_dir, "embeddings"))
+
+
+@query
+def wl_search(spark, sf_dir):
+    """Settings compared on source dev texts only."""
+    data = T.prepare(corpus(spark, sf_dir), pairs_of(spark, [("N1", "N3")]), CFG)
+    return T.search(data, "full", {f"lam={v}": replace(CFG, lam=v) for v in (0.1, 0.3, 0.5)} | {f"weight_decay={v}": replace(CFG, weight_decay=v) for v in (1e-4, 3e-4)})
