@@ -39,6 +39,15 @@ def chunked_words(docs: DataFrame, *keep: str, least: int = 4, most: int = 64) -
     return parts.where(F.size("words") >= least)
 
 
+def whole_words(docs: DataFrame, *keep: str, least: int = 4, most: int = 64) -> DataFrame:
+    """As :func:`sentence_words`, but longer sentences are cut into even parts of ``most`` words or fewer, and ``sent_ix`` numbers the parts of a text, so each stands for itself."""
+    parts = lambda w: F.ceil(F.size(w) / most).cast("int")
+    edge = lambda w, p: F.floor(F.size(w) * p / parts(w)).cast("int")
+    cut = lambda w: F.transform(F.sequence(F.lit(0), parts(w) - 1), lambda p: F.slice(w, edge(w, p) + 1, edge(w, p + 1) - edge(w, p)))
+    each = F.flatten(F.transform(F.split(F.lower("text"), SENTENCE_END), lambda x: F.transform(F.array(word_list(x)), lambda w: F.when(F.size(w) > most, cut(w)).otherwise(F.array(w)))[0]))
+    return docs.select("doc_id", *keep, F.posexplode(each).alias("sent_ix", "words")).where(F.size("words") >= least)
+
+
 def phrases(docs: DataFrame, min_count: int = 5, min_pmi: float = 3.0) -> DataFrame:
     """(first, second, n, pmi): adjacent words that occur together more than chance has it."""
     sents = chunked_words(docs, least=1).select("words")

@@ -166,7 +166,7 @@ def encoder_vectors(spark, sf_dir):
 def kg_candidates_encoder(spark, sf_dir):
     """Candidate facts from the encoder's last layer."""
     f = GraphFrames(spark, sf_dir)
-    return E.encoder_facts(f.sents, f.pivot_words, table(spark, sf_dir, "embeddings"))
+    return E.encoder_facts(f.whole, f.pivot_words, table(spark, sf_dir, "embeddings"))
 
 
 @query

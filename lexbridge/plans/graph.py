@@ -39,6 +39,7 @@ class GraphFrames(Frames):
         self.pool = P.candidate_pool(self.counts, self.pairs, self.min_df)
         targets = [t for _, t in CHAIN]
         self.sents = X.sentence_words(self.docs.where(F.col("domain").isin(targets)), "domain")
+        self.whole = X.whole_words(self.docs.where(F.col("domain").isin(targets)), "domain")
         self.pool_words = self.pool.select(F.col("tgt").alias("domain"), "word").distinct()
         self.pivots = P.initial_pivots(self.pool, self.pol, K)
         self.pivot_words = self.pivots.select(F.col("tgt").alias("domain"), "word").distinct()
@@ -239,7 +240,7 @@ def _graph_of(spark, sf_dir, texts):
     docs = texts.select("doc_id", "text", F.lit("T").alias("domain"), F.lit(None).cast("int").alias("label"), F.lit("unlabelled").alias("split"))
     counts = f.counts.where("domain = 'N1'").unionByName(P.word_counts(P.incidence(docs)))
     pool = P.candidate_pool(counts, spark.createDataFrame([("N1", "T")], "src string, tgt string"), 3)
-    facts = G.make_facts(A.cooccurrence_rows(X.sentence_words(docs, "domain"), pool.select(F.col("tgt").alias("domain"), "word")))
+    facts = G.make_facts(A.cooccurrence_rows(X.whole_words(docs, "domain"), pool.select(F.col("tgt").alias("domain"), "word")))
     return G.for_pairs(G.merge_facts(G.filter_facts(facts, TAU)), pool)
 
 
