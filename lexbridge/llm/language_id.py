@@ -78,12 +78,13 @@ def _frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _sparse(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         rows = []
-        for text, lang in zip(batch.column("text"), batch.column("lang").to_pylist(), strict=True):
+        for i, text, lang in zip(batch.column("doc_id").to_pylist(), batch.column("text"), batch.column("lang").to_pylist(), strict=True):
             counts = gram_counts(text.as_py())
             if counts is not None:
                 ix = np.flatnonzero(counts)
-                rows.append((lang, ix.astype(np.int32).tobytes(), counts[ix].astype(np.int32).tobytes()))
-        yield pa.record_batch([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], names=["lang", "ix", "n"])
+                rows.append((i, lang, ix.astype(np.int32).tobytes(), counts[ix].astype(np.int32).tobytes()))
+        types = [pa.int64(), pa.string(), pa.binary(), pa.binary()]
+        yield pa.record_batch([pa.array([r[j] for r in rows], t) for j, t in enumerate(types)], names=["doc_id", "lang", "ix", "n"])
 
 
 @dataclass
@@ -144,8 +145,9 @@ def fit_language_model(docs: DataFrame, per_label: int = 1000, epochs: int = 3,
     df = tables.add_up(learn.select("text").mapInArrow(_frequencies, tables.SCHEMA), np.zeros((1 << BITS) + 1, dtype=np.int64))
     idf = np.log((1 + df[-1]) / (1 + df[:-1])).astype(np.float32) + 1
     ids = sample_ids(learn, "lang", per_label).select("doc_id")
-    picked = learn.join(F.broadcast(ids), "doc_id", "left_semi").select("text", "lang").mapInArrow(_sparse, "lang string, ix binary, n binary")
-    got = sorted((r.lang, r.ix, r.n) for r in picked.collect())  # at most per_label of each language
+    picked = learn.join(F.broadcast(ids), "doc_id", "left_semi").select(F.col("doc_id").cast("long").alias("doc_id"), "text", "lang").mapInArrow(_sparse, "doc_id long, lang string, ix binary, n binary")
+    one = picked.groupBy("doc_id").agg(F.min(F.struct("lang", "ix", "n")).alias("r"))  # of several rows of one id the least is learned from
+    got = sorted((r.r.lang, r.r.ix, r.r.n) for r in one.collect())  # at most per_label of each language
     if not got:
         return None
     langs = sorted({g[0] for g in got})
