@@ -15,7 +15,7 @@ from lexbridge.llm.embedding_dedup import hadamard, near_duplicate_vectors
 from lexbridge.llm.graph import components
 from lexbridge.llm.jaccard_join import link_components
 from lexbridge.llm.language_id import language_report
-from lexbridge.llm.line_dedup import dedup_lines
+from lexbridge.llm.line_dedup import dedup_lines, fingerprints
 from lexbridge.llm.mixing import mix_sources
 from lexbridge.llm.passage_dedup import compact_windows, repeated_passages
 from lexbridge.llm.pii import _luhn, find_pii, find_spans, mask_pii
@@ -178,6 +178,41 @@ def test_line_dedup(spark, odd, empty):
     assert by[12].n_deleted == 4 and by[11].n_deleted == 0 and "x y z" not in by[12].text and by[4].text is None and by[5].text == ""
 
 
+def test_lines_without_repeats_keep_no_fingerprint(spark):
+    rng = random.Random(8)
+    rows = [(d, "\n".join(f"line {rng.randrange(10**12)}" for _ in range(40))) for d in range(50)]
+    own, prints = fingerprints(spark.createDataFrame(rows, "doc_id long, text string"), 3, 60, Scratch(spark, "t"))
+    assert own.count() == 50 and 0.4 < prints.count() / 2000 < 0.65 and prints.groupBy("h").count().where("count > 1").count() == 0
+
+
+def test_line_runs_equal_brute_force(spark):
+    rng = random.Random(6)
+    for long_line in (7, 1000):
+        docs = [(d, "\n".join(rng.choice(["a", "b", "c", " d ", "", "longest"]) for _ in range(rng.randint(0, 9)))) for d in range(60)]
+        seen, want = set(), {}
+        for d, text in docs:
+            lines = text.split("\n")
+            solid = [(i, x.strip()) for i, x in enumerate(lines) if x.strip()]
+            gone = set()
+            for n in (1, 3):
+                for i in range(len(solid) - n + 1):
+                    body = tuple(x for _, x in solid[i : i + n])
+                    if n == 3 or len(body[0]) >= long_line:
+                        if body in seen:
+                            gone |= {no for no, _ in solid[i : i + n]}
+                        seen.add(body)
+            want[d] = "\n".join(x for i, x in enumerate(lines) if i not in gone)
+        got = {r.doc_id: r.text for r in dedup_lines(spark.createDataFrame(docs, "doc_id long, text string"), long_line=long_line).collect()}
+        assert got == want
+
+
+def test_line_dedup_with_clashing_columns(spark):
+    names = ["n_lines", "n_deleted", "gone", "lost", "lost_id", "_lost", "mark", "_mark", "_id", "nos"]
+    rows = [(d, "p\nq\nr\ns", *range(len(names))) for d in (1, 2)]
+    got = {r.doc_id: r for r in dedup_lines(spark.createDataFrame(rows, ["doc_id", "text", *names])).collect()}
+    assert got[1].n_deleted == 0 and got[2].n_deleted == 4 and got[2].n_lines == 4 and got[2].gone == 2 and got[2].lost == 3 and got[2].nos == 9
+
+
 def test_pii_equals_the_patterns():
     kinds = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
     digits = lambda s: re.sub("[^0-9]", "", s)

@@ -28,3 +28,17 @@ def test_odd_tables_pass(spark):
             docs = spark.createDataFrame(docs.collect(), docs.schema)
         assert docs.count() <= len(data)
         assert not data or [r.doc_id for r in docs.collect()].count(3) == 1
+
+
+def test_clashing_columns_and_long_texts_pass(spark):
+    names = ["_drop", "dropped_id", "n_deleted", "n_lines", "gone", "_id", "copies", "taken", "taken_id", "component_id", "score"]
+    text = "\n".join(f"w{i} w{i * 7} w{i * 11} words" for i in range(20_000))
+    rows = [(d, text if d < 2 else f"some other words of document {d} that no one else has", "en", "a", 9, *range(len(names))) for d in range(5)]
+    docs = spark.createDataFrame(rows, [*COLUMNS, *names])
+    for i, (_, stage) in enumerate(P.STAGES):
+        docs = stage(spark, docs, SMALL)
+        if i < 4:
+            assert docs.columns == [*COLUMNS, *names]
+        docs = spark.createDataFrame(docs.collect(), docs.schema)
+    got = docs.collect()
+    assert 1 <= len(got) <= 4 and all(r._drop == 0 and r.gone == 4 and r.copies >= 1 for r in got)
