@@ -15,7 +15,7 @@ from lexbridge.llm.decontaminate import find_leaks
 from lexbridge.llm.jaccard_join import link_components
 from lexbridge.llm.line_dedup import dedup_lines
 from lexbridge.llm.mixing import mix_sources
-from lexbridge.llm.scratch import Scratch, small
+from lexbridge.llm.scratch import Scratch, fresh, small
 from lexbridge.llm.toxicity import fit_toxicity, toxic_score
 
 TOXIC = 0.3
@@ -23,8 +23,9 @@ TOXIC = 0.3
 
 def _without(docs: DataFrame, ids: DataFrame, scratch: Scratch) -> DataFrame:
     """``docs`` less the rows of the given ids."""
-    ids = scratch.keep(ids.select(F.col("doc_id").alias("_drop")).distinct(), "dropped")
-    return docs.join(small(ids), F.col("doc_id") == F.col("_drop"), "left_anti")
+    (drop,) = fresh(docs, "dropped_id")
+    ids = scratch.keep(ids.select(F.col("doc_id").alias(drop)).distinct(), "dropped")
+    return docs.join(small(ids), F.col("doc_id") == F.col(drop), "left_anti")
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,9 +37,10 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later repeats of line runs are cut out of the texts; a document goes only if nothing but such repeats was in it."""
-    cut = dedup_lines(docs)
-    cut = cut.where((F.col("n_deleted") == 0) | (F.trim(F.translate("text", "\n\t\r\f\x0b", "     ")) != ""))
-    chars = F.when(F.col("n_deleted") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
+    all_lines, lost = fresh(docs, "line_count", "lost_lines")
+    cut = dedup_lines(docs, names=(all_lines, lost))
+    cut = cut.where((F.col(lost) == 0) | (F.trim(F.translate("text", "\n\t\r\f\x0b", "     ")) != ""))
+    chars = F.when(F.col(lost) > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))
     return cut.withColumn("n_chars", chars).select(*docs.columns)
 
 
@@ -62,9 +64,11 @@ def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents of the mix, with how often each is taken (``copies``) and the words that makes (``taken``)."""
-    shares = mix_sources(docs).where("copies > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max("copies").alias("copies"), F.max("taken").alias("taken"))
-    return docs.join(shares.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_id"))).drop("_id")
+    """The documents of the mix, with how often each is taken (``copies``) and the words that makes (``taken``); columns of these names are replaced."""
+    docs = docs.drop("copies", "taken")
+    (own,) = fresh(docs, "taken_id")
+    shares = mix_sources(docs.select("doc_id", "text", "source")).where("copies > 0").groupBy(F.col("doc_id").alias(own)).agg(F.max("copies").alias("copies"), F.max("taken").alias("taken"))
+    return docs.join(shares.hint("merge"), F.col("doc_id").eqNullSafe(F.col(own))).drop(own)
 
 
 STAGES = [
