@@ -34,12 +34,16 @@ from lexbridge.llm.graph import components
 from lexbridge.llm.scratch import Scratch, small
 
 SKETCH_BITS = 20
-#: One round of leaders and two of chains, before what is left is multiplied out.
-ROUNDS = 3
+#: One round of leaders and then chains, before what is left is multiplied out: as long as one pair in ``WORTH`` of a chain links, at most so many.
+ROUNDS = 12
+WORTH = 50
 #: Columns of so many documents take part in those rounds.
 WIDE = 16
-#: Neighbours that a document meets in a column's order.
-NEIGHBOURS = 4
+#: Neighbours that a document meets in a column's order, in the first chain and in later ones, which have fewer open documents.
+NEIGHBOURS = (4, 8)
+#: A set's bitmap, 64 bits each.
+BITS = ("x0", "x1", "x2", "x3")
+POST = ("h", "d", "n", "pos", "bits")
 
 
 def _sets(batch: pa.RecordBatch, k: int) -> Iterator[tuple[int, np.ndarray]]:
@@ -56,12 +60,14 @@ def _bucket(h: np.ndarray) -> np.ndarray:
 def _prints(k: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = np.zeros(1 << SKETCH_BITS, dtype=np.int64)
-        names = ["doc_id", "n", "fp1", "fp2", "part", "blob"]
+        names = ["doc_id", "n", "fp1", "fp2", *BITS, "part", "blob"]
         for batch in batches:
             n, fp1, fp2 = (np.zeros(batch.num_rows, dtype=t) for t in (np.int32, np.uint64, np.uint64))
+            bits = np.zeros((batch.num_rows, 64 * len(BITS)), dtype=bool)
             held, size = [], 0
             for i, s in _sets(batch, k):
                 n[i] = len(s)
+                bits[i, (s >> np.uint64(40)).astype(np.int64) % bits.shape[1]] = True
                 fp1[i] = np.add.reduce(tokens.mix(s), dtype=np.uint64)
                 fp2[i] = np.add.reduce(tokens.mix(s ^ np.uint64(0x5851F42D4C957F2D)), dtype=np.uint64)
                 held.append(_bucket(s))
@@ -72,9 +78,12 @@ def _prints(k: int):
             if held:
                 table += np.bincount(np.concatenate(held), minlength=len(table))
             none = pa.nulls(batch.num_rows)
-            yield pa.record_batch([batch.column("doc_id"), pa.array(n), pa.array(fp1.view(np.int64)), pa.array(fp2.view(np.int64)), none.cast(pa.int32()), none.cast(pa.binary())], names=names)
+            packed = np.packbits(bits, axis=1).view(np.int64)
+            maps = [pa.array(np.ascontiguousarray(packed[:, j])) for j in range(len(BITS))]
+            yield pa.record_batch([batch.column("doc_id"), pa.array(n), pa.array(fp1.view(np.int64)), pa.array(fp2.view(np.int64)), *maps, none.cast(pa.int32()), none.cast(pa.binary())], names=names)
         for part, blob in tables.pieces(table):
-            yield pa.record_batch([pa.array([None], pa.int64()), pa.array([None], pa.int32()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([part], pa.int32()), pa.array([blob], pa.binary())], names=names)
+            empty = [pa.array([None], pa.int64()) for _ in BITS]
+            yield pa.record_batch([pa.array([None], pa.int64()), pa.array([None], pa.int32()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), *empty, pa.array([part], pa.int32()), pa.array([blob], pa.binary())], names=names)
 
     return run
 
@@ -173,30 +182,45 @@ def _room(t: Fraction) -> str:
     return f"{q} * least(na, nb) >= {p} * greatest(na, nb) and {p + q} * (1 + least(na - pa, nb - pb) - 1) >= {p} * (na + nb)"
 
 
+def _bitmaps_allow(t: Fraction) -> str:
+    """What the bitmaps of a pair allow: a bit that only one of them has stands for a shingle that the other set lacks."""
+    p, q = t.numerator, t.denominator
+    lacks = lambda one, other: " + ".join(f"bit_count({one}.{x} & ~{other}.{x})" for x in BITS)
+    return f"{p + q} * least(n - ({lacks('bits', 'bits2')}), n2 - ({lacks('bits2', 'bits')})) >= {p} * (n + n2)"
+
+
 def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(3, 4)) -> DataFrame:
     """Groups documents by shingle-set links.
 
     ``docs`` has ``doc_id`` and ``text`` (others are left alone). Returns doc_id, n_shingles, component_id, one row per
     input row. A null or blank text has an empty set and stands alone; so does a row of null id, whose component is null.
-    Repeated ids come back once per row; their texts link for the id they share. ``threshold`` must exceed 0.
+    Repeated ids come back once per row; different texts of one id link for the id they share. ``threshold`` must exceed 0.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "jaccard")
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    first = scratch.keep(docs.mapInArrow(_prints(k), "doc_id long, n int, fp1 long, fp2 long, part int, blob binary"), "prints")
+    maps = "".join(f"{x} long, " for x in BITS)
+    first = scratch.keep(docs.mapInArrow(_prints(k), f"doc_id long, n int, fp1 long, fp2 long, {maps}part int, blob binary"), "prints")
+    prints = first.where("part is null").select("doc_id", "n", "fp1", "fp2", F.struct(*BITS).alias("bits"))
+    sole = prints.where("n > 0 and doc_id is not null").groupBy("doc_id").agg(F.min(F.struct("fp1", "fp2")).alias("lo"), F.max(F.struct("fp1", "fp2")).alias("hi"))
+    several = scratch.keep(sole.where("lo != hi").select(F.col("doc_id").alias("id")), "several")
+    if not several.isEmpty():
+        return _with_several_texts(docs, several, k, threshold, scratch)
     levels = spark.sparkContext.broadcast(_levels(first.where("part is not null").select("part", "blob")))
-    prints = first.where("part is null").select("doc_id", "n", "fp1", "fp2")
-    classes = scratch.keep(prints.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep")), "classes")
+    classes = scratch.keep(prints.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.first("bits").alias("bits")), "classes")
 
     spare = scratch.keep(prints.where("n > 0").join(classes, ["fp1", "fp2"]).where("doc_id != rep").select("doc_id").distinct(), "spare")
     entries = docs.where("doc_id is not null").join(small(spare), "doc_id", "left_anti").mapInArrow(_entries(k, threshold, levels), "h long, d long, n int, pos int")
     held = entries.repartition("h").sortWithinPartitions("h").mapInArrow(_shared, "h long, d long, n int, pos int")
     posts = scratch.keep(held, "posts-0")
-
-    room = _room(threshold)
-    sides = [F.least("d", "d2").alias("a"), F.greatest("d", "d2").alias("b"), F.col("n").alias("na"), F.col("n2").alias("nb"), F.col("pos").alias("pa"), F.col("pos2").alias("pb")]
     # each document's entries that another document shares: a small part of its first ones
     lists = scratch.keep(posts.groupBy("d").agg(F.first("n").alias("n"), F.collect_set("h").alias("hs")), "lists")
+    maps = lists.select("d").join(classes.select(F.col("rep").alias("d"), "bits"), "d")
+    posts = scratch.keep(posts.join(maps, "d").select(*POST), "posts")
+    scratch.drop("posts-0")
+
+    room, allow = _room(threshold), _bitmaps_allow(threshold)
+    sides = [F.least("d", "d2").alias("a"), F.greatest("d", "d2").alias("b"), F.col("n").alias("na"), F.col("n2").alias("nb"), F.col("pos").alias("pa"), F.col("pos2").alias("pb")]
     edges, tested, comps = None, None, None
     wide = posts.groupBy("h").agg(F.count("*").alias("m")).where(F.col("m") >= WIDE).select("h")
     wide = scratch.keep(posts.join(wide, "h", "left_semi").withColumn("comp", F.col("d")), "wide-0")
@@ -206,25 +230,27 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
         if wide.isEmpty():
             break
         if turn == 0:
-            lead = wide.groupBy("h").agg(F.min(F.struct(F.xxhash64("d").alias("o"), "d", "n", "pos", "comp")).alias("l"))
+            lead = wide.groupBy("h").agg(F.min(F.struct(F.xxhash64("d").alias("o"), "d", "n", "pos", "comp", "bits")).alias("l"))
             met = wide.join(lead, "h")
         else:
             order = W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d")
-            near = F.array(*[F.lag(F.struct("d", "n", "pos", "comp"), i).over(order) for i in range(1, NEIGHBOURS + 1)])
+            near = F.array(*[F.lag(F.struct("d", "n", "pos", "comp", "bits"), i).over(order) for i in range(1, NEIGHBOURS[turn > 1] + 1)])
             met = wide.withColumn("near", near).select("*", F.explode(F.filter("near", lambda x: x.isNotNull() & (x.comp != F.col("comp")))).alias("l"))
-        met = met.select("d", "n", "pos", "comp", F.col("l.d").alias("d2"), F.col("l.n").alias("n2"), F.col("l.pos").alias("pos2"), F.col("l.comp").alias("comp2"))
-        pairs = met.where("comp != comp2 and d != d2").select(*sides).where(room).select("a", "b").distinct()
+        met = met.select("d", "n", "pos", "comp", "bits", *[F.col(f"l.{x}").alias(f"{x}2") for x in ("d", "n", "pos", "comp", "bits")])
+        pairs = met.where("comp != comp2 and d != d2").where(allow).select(*sides).where(room).select("a", "b").distinct()
         pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs-{turn}")
         tested = pairs if tested is None else tested.unionByName(pairs)
         found = _verified(docs, pairs, lists, k, threshold, scratch, turn)
         edges = found if edges is None else edges.unionByName(found)
         comps = components(edges, "a", "b", scratch, f"components-{turn}")
+        if turn and found.count() * WORTH < pairs.count():
+            break
     rest = scratch.keep(_open_columns(posts, comps), "open") if comps is not None else posts.withColumn("comp", F.col("d"))
     at_place = room
     for new, old in (("na", "n"), ("nb", "n2"), ("pa", "pos"), ("pb", "pos2")):
         at_place = re.sub(rf"\b{new}\b", old, at_place)
-    other = rest.select("h", F.col("d").alias("d2"), F.col("n").alias("n2"), F.col("pos").alias("pos2"), F.col("comp").alias("comp2"))
-    met = rest.join(other, "h").where(F.expr("d < d2 and comp != comp2") & F.expr(at_place))
+    other = rest.select("h", *[F.col(x).alias(f"{x}2") for x in ("d", "n", "pos", "comp", "bits")])
+    met = rest.join(other, "h").where(F.expr("d < d2 and comp != comp2") & F.expr(at_place) & F.expr(allow))
     pairs = met.select(*sides).select("a", "b").distinct()
     pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), "pairs-rest")
     found = _verified(docs, pairs, lists, k, threshold, scratch, ROUNDS)
@@ -237,9 +263,28 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
     )
 
 
+def _with_several_texts(docs: DataFrame, several: DataFrame, k: int, threshold: Fraction, scratch: Scratch) -> DataFrame:
+    """:func:`link_components` where some ids stand for several texts.
+
+    Each text of such an id is joined under a number of its own, a hash of id and text, and the components that one id touches are one.
+    """
+    named = docs.join(small(several), F.col("doc_id") == F.col("id"), "left")
+    own = F.when(F.col("id").isNotNull(), F.xxhash64("doc_id", "text")).otherwise(F.col("doc_id"))
+    owners = scratch.keep(named.where("id is not null").select(own.alias("number"), F.col("id").alias("owner")).distinct(), "owners")
+    found = scratch.keep(link_components(named.select(own.alias("doc_id"), "text"), k, threshold), "texts")
+    whole = found.join(small(owners), F.col("doc_id") == F.col("number"), "left").select(F.col("component_id").alias("c"), "n_shingles", "owner", F.coalesce("owner", "doc_id").alias("doc_id"))
+    whole = scratch.keep(whole, "whole")
+    touched = whole.where("owner is not null and n_shingles > 0").groupBy("owner").agg(F.min("c").alias("lo"))
+    edges = whole.where("n_shingles > 0").join(touched, "owner").select("c", "lo").where("c != lo").distinct()
+    merged = components(edges, "c", "lo", scratch, "merged")
+    whole = whole.join(merged, F.col("c") == F.col("node"), "left").withColumn("c", F.coalesce("comp", "c"))
+    least = whole.where("doc_id is not null and n_shingles > 0").groupBy(F.col("c").alias("root")).agg(F.min("doc_id").alias("component_id"))
+    return whole.join(least, (F.col("c") == F.col("root")) & (F.col("n_shingles") > 0), "left").select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
+
+
 def _open_columns(posts: DataFrame, comps: DataFrame) -> DataFrame:
     """The entries of columns that still touch several components, with each entry's component."""
-    named = posts.drop("comp").join(comps, F.col("d") == F.col("node"), "left").select("h", "d", "n", "pos", F.coalesce("comp", "d").alias("comp"))
+    named = posts.drop("comp").join(comps, F.col("d") == F.col("node"), "left").select(*POST, F.coalesce("comp", "d").alias("comp"))
     still = named.groupBy("h").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo != hi").select("h")
     return named.join(still, "h", "left_semi")
 

@@ -96,6 +96,14 @@ def test_jaccard_join_of_a_large_group_of_near_copies(spark):
     assert got == brute_components(rows)
 
 
+def test_jaccard_join_of_ids_with_several_texts(spark):
+    rng = random.Random(3)
+    a, b = ([f"w{rng.randrange(10**6)}" for _ in range(40)] for _ in range(2))
+    rows = [(1, " ".join(a)), (2, " ".join(a)), (2, " ".join(b)), (3, " ".join([*b[:-1], "else"])), (4, "by itself"), (5, ""), (5, "two words"), (5, "two words"), (None, " ".join(a))]
+    got = sorted((r.doc_id or 0, r.component_id or 0) for r in link_components(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == [(0, 0), (1, 1), (2, 1), (2, 1), (3, 1), (4, 4), (5, 5), (5, 5), (5, 5)]
+
+
 def test_jaccard_join_of_odd_rows(odd, empty):
     got = link_components(odd).collect()
     assert len(got) == odd.count() and link_components(empty).count() == 0
