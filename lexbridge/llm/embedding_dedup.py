@@ -90,12 +90,12 @@ def _cosines(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.record_batch([batch.column("a"), batch.column("b"), pa.array(dot / (np.sqrt(aa) * np.sqrt(bb)))], names=["a", "b", "cosine"])
 
 
-def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, tables: int | None = None, hashes: int | None = None) -> DataFrame:
+def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, tables: int = 12, hashes: int = 2) -> DataFrame:
     """vec_id, n_links, component_id, kept for every row of ``vectors`` (vec_id, embedding, label).
 
     Only vectors of one label and one length are compared. A vector that is null, empty, zero, or holds a null or a non-finite
     component, and one without label or id, links with nothing and is kept; its component is its id. Repeated rows are equal vectors.
-    Without ``hashes`` the code length follows the number of classes, and ``tables`` the code length.
+    The search is the same at every size: ``hashes`` codes in each of ``tables`` tables. A class meets the home buckets of its own and its next-likeliest codes.
     """
     spark = vectors.sparkSession
     scratch = Scratch(spark, "vectors")
@@ -108,9 +108,6 @@ def near_duplicate_vectors(vectors: DataFrame, threshold: float = 0.93, tables:
     classes = scratch.keep(classes, "classes")
     speakers = rows.where("sound").select("vec_id", "label", v.alias("v"), "k1", "k2").join(classes, ["k1", "k2"]).where("vec_id = cid").dropDuplicates(["cid"]).select("cid", "label", "v", "copies")
     speakers = scratch.keep(speakers, "speakers")
-    n = speakers.count()
-    hashes = hashes or (2 if n < 5_000_000 else 3)
-    tables = tables or 6 * hashes
     buckets = speakers.select("cid", "v").mapInArrow(_bucket_rows(tables, hashes), "cid long, tab int, dim int, bucket long, home boolean")
     buckets = scratch.keep(buckets.join(speakers.select("cid", "label"), "cid"), "buckets")
     key = ["tab", "dim", "bucket", "label"]

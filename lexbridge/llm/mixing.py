@@ -13,7 +13,7 @@ resolved by ranges of finish time, with an exact order only inside the range whe
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -38,20 +38,26 @@ def _targets(sizes: DataFrame, weights: tuple[int, ...], cap: int, share: float)
     return filled.drop("level", "free").crossJoin(F.broadcast(level)).select("skey", "s", "w", "level", "budget", F.when(cap * F.col("s") / F.col("w") < F.col("level"), (cap * F.col("s")).cast("double")).otherwise(F.col("w") * F.col("level")).alias("target"))
 
 
+def _slot(at: Column, bits: int) -> Column:
+    """The range of a virtual finish time; there is one range only where no source has a word."""
+    return F.coalesce(F.floor(F.try_divide(at, F.col("level")) * F.lit(1 << bits)), F.lit(0))
+
+
 def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int = 3, share: float = 1.0) -> DataFrame:
     """Chooses how often each document goes into a mix of ``share`` times all words.
 
     ``docs`` has doc_id, text and source. Returns doc_id, size (words; a null text has none), source_size, target, taken
     (words the mix takes: 0 to ``cap`` times the size) and copies. Sources are ordered by code point with null last, and
     take ``weights`` in turn. Order inside a source follows md5 of the id, then the id, then the size, so reruns agree; rows
-    that tie in all of these are alike. An empty table gives an empty result. ``share`` must not exceed ``cap``.
+    that tie in all of these are alike. An empty table gives an empty result, and texts without any word are never taken. ``share`` must not exceed ``cap``.
     """
     scratch = Scratch(docs.sparkSession, "mixing")
     rows = docs.select(
         F.col("doc_id"),
         F.coalesce(F.concat(F.lit("0"), F.col("source")), F.lit("1")).alias("skey"),
         F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(WORD), F.lit(0))).cast("long").alias("size"),
-        F.coalesce(F.conv(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 15), 16, 10).cast("long"), F.lit(0)).alias("r"),
+        # rows of null id are spread by a hash of their text
+        F.conv(F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("text "), F.coalesce("text", F.lit(""))))), 1, 15), 16, 10).cast("long").alias("r"),
     )
     rows = scratch.keep(rows, "rows")
     n = rows.count()
@@ -66,7 +72,7 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
 
     turns = queued.where("size > 0").select("*", F.explode(F.sequence(F.lit(0), F.lit(cap - 1))).alias("turn"))
     at = (F.col("turn") * F.col("s") + F.col("served")) / F.col("w")
-    slot = F.floor(at / F.col("level") * F.lit(1 << bits))
+    slot = _slot(at, bits)
     entries = turns.withColumn("at", at).withColumn("slot", slot)
     sums = entries.groupBy("slot").agg(F.sum("size").alias("words"), F.first("budget").alias("budget"))
     run = sums.withColumn("upto", F.sum("words").over(W.orderBy("slot")))
@@ -82,7 +88,7 @@ def mix_sources(docs: DataFrame, weights: tuple[int, ...] = (1, 2, 3), cap: int
     taken = F.lit(0)
     for turn in range(cap):
         here = (F.lit(turn) * F.col("s") + F.col("served")) / F.col("w")
-        place = F.floor(here / F.col("level") * F.lit(1 << bits))
+        place = _slot(here, bits)
         own = F.struct(here.alias("at"), F.col("skey"), F.lit(turn).alias("turn"), F.col("r"), F.col("doc_id"))
         taken = taken + F.when((F.col("size") > 0) & (F.col("edge").isNull() | (place < F.col("edge")) | ((place == F.col("edge")) & F.coalesce(own <= F.col("last"), F.lit(False)))), 1).otherwise(0)
     out = queued.crossJoin(F.broadcast(cut)).withColumn("copies", taken)
@@ -93,7 +99,7 @@ ORACLE = r"""
 WITH rows AS (
   SELECT doc_id, coalesce('0' || source, '1') AS skey,
          len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size,
-         coalesce(('0x' || substr(md5(doc_id::VARCHAR), 1, 15))::BIGINT, 0) AS r
+         ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'text ' || coalesce(text, ''))), 1, 15))::BIGINT AS r
   FROM documents),
 src AS (SELECT skey, sum(size)::BIGINT AS s, ((row_number() OVER (ORDER BY skey) - 1) % 3 + 1)::BIGINT AS w FROM rows GROUP BY skey),
 tot AS (SELECT sum(s)::DOUBLE AS budget FROM src),

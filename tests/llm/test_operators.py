@@ -178,6 +178,12 @@ def test_mixing(spark, odd, empty):
     assert sorted(map(str, got)) == sorted(map(str, mix_sources(odd.repartition(7)).collect()))
 
 
+def test_mixing_of_texts_without_words(spark):
+    rows = [(1, None, "a"), (2, "", "a"), (3, " \n", None), (None, "", "b")]
+    got = mix_sources(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    assert len(got) == 4 and all(r["size"] == r.source_size == r.taken == r.copies == 0 and r.target == 0 for r in got)
+
+
 def test_line_dedup(spark, odd, empty):
     check(spark, Q.QUERIES["op10_line_dedup"], Q.ORACLES["op10_line_dedup"], SMALL)
     got = dedup_lines(odd).collect()
