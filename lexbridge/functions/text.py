@@ -39,8 +39,8 @@ def chunked_words(docs: DataFrame, *keep: str, least: int = 4, most: int = 64) -
     return parts.where(F.size("words") >= least)
 
 
-def whole_words(docs: DataFrame, *keep: str, least: int = 4, most: int = 64) -> DataFrame:
-    """As :func:`sentence_words`, but longer sentences are cut into even parts of ``most`` words or fewer, and ``sent_ix`` numbers the parts of a text, so each stands for itself."""
+def whole_words(docs: DataFrame, *keep: str, least: int = 3, most: int = 64) -> DataFrame:
+    """(doc_id, *keep, sent_ix, words) of all sentences of ``least`` words, which a fact needs. Longer ones are cut into even parts of ``most`` words or fewer, and ``sent_ix`` numbers the parts of a text, so each stands for itself."""
     parts = lambda w: F.ceil(F.size(w) / most).cast("int")
     edge = lambda w, p: F.floor(F.size(w) * p / parts(w)).cast("int")
     cut = lambda w: F.transform(F.sequence(F.lit(0), parts(w) - 1), lambda p: F.slice(w, edge(w, p) + 1, edge(w, p + 1) - edge(w, p)))

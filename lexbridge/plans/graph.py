@@ -38,8 +38,7 @@ class GraphFrames(Frames):
         self.pairs = spark.createDataFrame(list(CHAIN), "src string, tgt string")
         self.pool = P.candidate_pool(self.counts, self.pairs, self.min_df)
         targets = [t for _, t in CHAIN]
-        self.sents = X.sentence_words(self.docs.where(F.col("domain").isin(targets)), "domain")
-        self.whole = X.whole_words(self.docs.where(F.col("domain").isin(targets)), "domain")
+        self.sents = X.whole_words(self.docs.where(F.col("domain").isin(targets)), "domain")
         self.pool_words = self.pool.select(F.col("tgt").alias("domain"), "word").distinct()
         self.pivots = P.initial_pivots(self.pool, self.pol, K)
         self.pivot_words = self.pivots.select(F.col("tgt").alias("domain"), "word").distinct()
@@ -150,9 +149,10 @@ def att_piece_mean(spark, sf_dir):
 # ---------------------------------------------------------------- graph
 
 
-@query(with_(*BASE, TOKENS, COOC, FACTS, select="SELECT domain, doc_id, sent_ix::INTEGER AS sent_ix, i::INTEGER AS i, pivot, w_a, w_b, w_c, slot, conf FROM facts"))
+@query(with_(*BASE, TOKENS, COOC, FACTS, select="SELECT domain, doc_id, sent_ix::INTEGER AS sent_ix, i::INTEGER AS i, pivot, w_a, w_b, w_c, slot, round(conf * 1e9)::BIGINT AS conf_nano FROM facts"))
 def kg_candidates_cooc(spark, sf_dir):
-    return GraphFrames(spark, sf_dir).facts()
+    """Candidate facts; the confidence, a sum of two values of nine digits, in whole billionths."""
+    return GraphFrames(spark, sf_dir).facts().withColumn("conf_nano", F.round(F.col("conf") * 1e9).cast("long")).drop("conf")
 
 
 @query(with_(*BASE, PIVOTS, TOKENS, _vector_sql("word"), "m AS (SELECT domain, doc_id, sent_ix, i, j, avg(a) AS a FROM soft GROUP BY ALL)",
@@ -174,9 +174,12 @@ def kg_no_stopwords(spark, sf_dir):
     return G.drop_stop_words(G.filter_facts(f.facts(), TAU), f.stop).groupBy("domain", "pivot").agg(F.count("*").alias("n"))
 
 
-@query(with_(*GRAPH, select="SELECT src, tgt, pivot, slot, w_a, w_b, w_c, support, conf, mean_conf FROM graph"))
+@query(with_(*GRAPH, select="SELECT src, tgt, pivot, slot, w_a, w_b, w_c, support, round(conf * 1e9)::BIGINT AS conf_nano, round(mean_conf * support * 1e9)::BIGINT AS sum_nano FROM graph"))
 def kg_merged(spark, sf_dir):
-    return GraphFrames(spark, sf_dir).graph()
+    """The merged graph; best and summed confidence in whole billionths, on which two engines agree."""
+    nano = lambda c: F.round(c * 1e9).cast("long")
+    g = GraphFrames(spark, sf_dir).graph()
+    return g.select("src", "tgt", "pivot", "slot", "w_a", "w_b", "w_c", "support", nano(F.col("conf")).alias("conf_nano"), nano(F.col("mean_conf") * F.col("support")).alias("sum_nano"))
 
 
 _TAUS = [0.1, 0.2, 0.3, 0.45]
@@ -204,8 +207,10 @@ def kg_fact_kinds(spark, sf_dir):
 
 
 _OPEN = r"""ot AS (SELECT text FROM benchmark UNION ALL SELECT text FROM conversations),
-os AS (SELECT regexp_extract_all(s, '\p{L}+') AS words FROM (SELECT unnest(string_split_regex(lower(text), '[.!?\n]+')) AS s FROM ot) WHERE trim(s, ' ') <> ''),
-trio AS (SELECT words[i] AS head, words[i + 1] AS relation, words[i + 2] AS tail FROM (SELECT words, unnest(range(1, len(words) - 1)) AS i FROM os WHERE len(words) BETWEEN 3 AND 64)),
+ow AS (SELECT regexp_extract_all(s, '\p{L}+') AS ws FROM (SELECT unnest(string_split_regex(lower(text), '[.!?\n]+')) AS s FROM ot)),
+op AS (SELECT ws, (len(ws) + 63) // 64 AS np, unnest(range((len(ws) + 63) // 64)) AS part FROM ow),
+os AS (SELECT ws[(len(ws) * part // np + 1):(len(ws) * (part + 1) // np)] AS words FROM op),
+trio AS (SELECT words[i] AS head, words[i + 1] AS relation, words[i + 2] AS tail FROM (SELECT words, unnest(range(1, len(words) - 1)) AS i FROM os WHERE len(words) >= 3)),
 edges AS (SELECT head, relation, tail, count(*) AS weight FROM trio WHERE head <> tail GROUP BY ALL HAVING count(*) >= 2),
 voc AS (SELECT DISTINCT word FROM inc WHERE domain = 'N3'),
 hop AS (SELECT DISTINCT * FROM edges WHERE head IN (SELECT word FROM voc) OR tail IN (SELECT word FROM voc))"""
@@ -215,7 +220,7 @@ def open_sentences(spark, sf_dir, pages: bool = False):
     """Sentences of the open-domain tables."""
     texts = table(spark, sf_dir, "benchmark").select("text").unionByName(table(spark, sf_dir, "conversations").select("text"))
     texts = texts.unionByName(table(spark, sf_dir, "pages").select(html_text(F.col("html")).alias("text"))) if pages else texts
-    return X.sentence_words(texts.withColumn("doc_id", F.lit(0).cast("long")), least=3)
+    return X.whole_words(texts.withColumn("doc_id", F.lit(0).cast("long")))
 
 
 @query(with_(CORPUS, INC, _OPEN, select="SELECT head, relation, tail, weight FROM hop"))

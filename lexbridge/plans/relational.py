@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from lexbridge.sources.stage import shared_folder
 from lexbridge.functions import udfs
 from lexbridge.sources.tables import table
 
@@ -40,7 +40,7 @@ def sql(name: str, spark_sql: str, duck_sql: str | None = None, tables: str = "d
 
 def _folder(spark) -> str:
     sc = spark.sparkContext
-    base = sc.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="lexbridge-")
+    base = shared_folder(spark)
     return f"{base.rstrip('/')}/io-{uuid.uuid4().hex[:12]}"
 
 

@@ -16,14 +16,13 @@ FLOATS = {
     ('score',): 'pivot_initial_topk pivot_true_topk bank_refresh_epoch',
     ('N1', 'N2', 'N3', 'N4', 'FAR'): 'pivot_behaviour',
     ('error',): 'bank_error',
-    ('conf',): 'pseudo_labels kg_candidates_cooc kg_candidates_vector kg_entity_facts',
+    ('conf',): 'pseudo_labels kg_candidates_vector kg_entity_facts',
     ('precision',): 'pseudo_quality',
     ('score', 'p_pos'): 'nb_predict',
     ('accuracy', 'balanced', 'f1'): 'nb_accuracy majority_accuracy pivot_vote_accuracy',
     ('auc',): 'metrics_auc',
     ('total', 'top'): 'att_cooc_matrix',
     ('a',): 'att_vector_heads att_head_mean att_piece_mean',
-    ('conf', 'mean_conf'): 'kg_merged',
     ('tau', 'share'): 'kg_confidence_profile',
     ('tau',): 'kg_suggested_tau',
     ('outside_share', 'diversity'): 'kg_noise',

@@ -2,18 +2,38 @@
 
 from __future__ import annotations
 
-import tempfile
+import atexit
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def stage(df: DataFrame, name: str) -> DataFrame:
-    """Writes ``df`` once and reads it back: the lineage ends here, and lost executors read it again."""
-    spark = df.sparkSession
+def shared_folder(spark: SparkSession) -> str:
+    """The context's checkpoint folder, else the one the session names; a local session without either uses its warehouse."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="lexbridge-"))
-    path = f"{sc.getCheckpointDir().rstrip('/')}/stage-{name}-{uuid.uuid4().hex[:12]}"
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        sc.setCheckpointDir(named or spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch")
+    return sc.getCheckpointDir().rstrip("/")
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    jvm = spark.sparkContext._jvm
+    if jvm is None:
+        return
+    try:
+        p = jvm.org.apache.hadoop.fs.Path(path)
+        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+    except Exception:  # the context may be gone at exit; the folder is disposable
+        pass
+
+
+def stage(df: DataFrame, name: str) -> DataFrame:
+    """Writes ``df`` once and reads it back: the lineage ends here, and lost executors read it again. Deleted when the interpreter ends."""
+    spark = df.sparkSession
+    path = f"{shared_folder(spark)}/stage-{name}-{uuid.uuid4().hex[:12]}"
+    atexit.register(_delete, spark, path)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -11,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from lexbridge.sources.stage import shared_folder
 from lexbridge import reach
 
 
@@ -32,7 +32,7 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Runs a stream over all that is there and returns what it wrote."""
     spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex[:10]}"
-    where = (spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="lexbridge-")).rstrip("/")
+    where = shared_folder(spark)
     run = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{where}/{name}").trigger(availableNow=True).start()
     run.awaitTermination()
     return spark.table(name)
