@@ -39,8 +39,8 @@ ROUNDS = 12
 WORTH = 50
 #: Columns of so many documents take part in those rounds.
 WIDE = 16
-#: Neighbours that a document meets in a column's order, in the first chain and in later ones, which have fewer open documents.
-NEIGHBOURS = (4, 8)
+#: Neighbours that a document meets in a column's order, in the first chain, the second and later ones, which have fewer open pairs.
+NEIGHBOURS = (4, 8, 32)
 #: A set's bitmap, 64 bits each.
 BITS = ("x0", "x1", "x2", "x3")
 POST = ("h", "d", "n", "pos", "bits")
@@ -234,7 +234,7 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
             met = wide.join(lead, "h")
         else:
             order = W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d")
-            near = F.array(*[F.lag(F.struct("d", "n", "pos", "comp", "bits"), i).over(order) for i in range(1, NEIGHBOURS[turn > 1] + 1)])
+            near = F.array(*[F.lag(F.struct("d", "n", "pos", "comp", "bits"), i).over(order) for i in range(1, NEIGHBOURS[min(turn, len(NEIGHBOURS)) - 1] + 1)])
             met = wide.withColumn("near", near).select("*", F.explode(F.filter("near", lambda x: x.isNotNull() & (x.comp != F.col("comp")))).alias("l"))
         met = met.select("d", "n", "pos", "comp", "bits", *[F.col(f"l.{x}").alias(f"{x}2") for x in ("d", "n", "pos", "comp", "bits")])
         pairs = met.where("comp != comp2 and d != d2").where(allow).select(*sides).where(room).select("a", "b").distinct()
