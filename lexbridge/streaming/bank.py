@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from lexbridge.sources.stage import shared_folder
+from lexbridge.sources.stage import drop_at_exit, shared_folder
 from lexbridge import reach
 
 
@@ -30,12 +30,20 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
 
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a stream over all that is there and returns what it wrote."""
+    """Runs a stream over all that is there and returns what it wrote.
+
+    Appended rows go to files under the shared folder, so the driver holds none of them. The other modes rewrite rows, which no file sink
+    can; they keep the driver's table, one row for each key and batch.
+    """
     spark, name = stream.sparkSession, f"stream_{uuid.uuid4().hex[:10]}"
-    where = shared_folder(spark)
-    run = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{where}/{name}").trigger(availableNow=True).start()
-    run.awaitTermination()
-    return spark.table(name)
+    where = f"{shared_folder(spark)}/{name}"
+    drop_at_exit(spark, where)
+    writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{where}/state").trigger(availableNow=True)
+    if mode != "append":
+        writer.format("memory").queryName(name).start().awaitTermination()
+        return spark.table(name)
+    writer.format("parquet").option("path", f"{where}/rows").start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{where}/rows")
 
 
 def tokens(events: DataFrame, cut: float = 50.0) -> DataFrame:
