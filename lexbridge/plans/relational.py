@@ -138,8 +138,15 @@ def op_join_salted(spark, sf_dir):
 
 # ---- aggregation
 
-sql("op_aggregate", "SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS quantity, avg(l_discount) AS discount, min(l_shipdate) AS first_ship, max_by(l_orderkey, l_extendedprice) AS dearest FROM lineitem GROUP BY l_returnflag, l_linestatus",
-    "SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS quantity, avg(l_discount) AS discount, min(l_shipdate) AS first_ship, arg_max(l_orderkey, l_extendedprice) AS dearest FROM lineitem GROUP BY l_returnflag, l_linestatus")
+
+@query("SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS quantity, avg(l_discount) AS discount, min(l_shipdate) AS first_ship, arg_max(l_orderkey, l_extendedprice) AS dearest FROM lineitem GROUP BY l_returnflag, l_linestatus")
+def op_aggregate(spark, sf_dir):
+    """Of rows of one greatest price the least key is told, which the oracle meets first in a table in order of its key."""
+    dearest = F.max_by("l_orderkey", F.struct("l_extendedprice", -F.col("l_orderkey")))
+    lines = table(spark, sf_dir, "lineitem").groupBy("l_returnflag", "l_linestatus")
+    return lines.agg(F.count("*").alias("n"), F.sum("l_quantity").alias("quantity"), F.avg("l_discount").alias("discount"), F.min("l_shipdate").alias("first_ship"), dearest.alias("dearest"))
+
+
 sql("op_aggregate_stats", "SELECT event_type, stddev_samp(value) AS sd, corr(value, user_id) AS r, count_if(value > 50) AS high FROM events GROUP BY event_type",
     "SELECT event_type, stddev_samp(value) AS sd, corr(value, user_id) AS r, count(*) FILTER (WHERE value > 50) AS high FROM events GROUP BY event_type")
 sql("op_aggregate_distinct", "SELECT lang, count(DISTINCT source) AS sources, count(DISTINCT n_chars) AS sizes FROM documents GROUP BY lang")
