@@ -262,11 +262,17 @@ def op_udaf_td(spark, sf_dir):
     return seq.join(e.groupBy("user_id").agg(F.sum("v").alias("closed")), "user_id")
 
 
-@query()
+@query(r"""WITH w AS (SELECT page_id, regexp_extract_all(lower(url), '\p{L}+') AS words FROM pages),
+t AS (SELECT page_id, generate_subscripts(words, 1) - 1 AS i, unnest(words) AS word FROM w),
+c AS (SELECT a.page_id, a.i, a.word, b.i AS j, b.word AS other, row_number() OVER (PARTITION BY a.page_id, a.i ORDER BY round(length(b.word)::DOUBLE / (1 + abs(a.i - b.i)), 9) DESC, b.i) AS r FROM t a JOIN t b ON a.page_id = b.page_id AND a.i <> b.i WHERE length(a.word) >= 6),
+two AS (SELECT page_id, i, word, min(j) AS j1, max(j) AS j2, arg_min(other, j) AS x1, arg_max(other, j) AS x2 FROM c WHERE r <= 2 GROUP BY ALL HAVING count(*) = 2)
+SELECT page_id, CASE WHEN i < j1 THEN word ELSE x1 END AS w_a, CASE WHEN i < j1 THEN x1 WHEN i < j2 THEN word ELSE x2 END AS w_b, CASE WHEN i > j2 THEN word ELSE x2 END AS w_c, (i > j1)::INTEGER + (i > j2)::INTEGER AS slot FROM two""")
 def op_udtf_facts(spark, sf_dir):
-    """Facts by a lateral table function, from a hand-set matrix."""
+    """Facts of every page's address by a lateral table function: words of six letters or more, with the two others that weigh most by length over distance."""
     udfs.register(spark)
-    return spark.sql("SELECT f.* FROM (SELECT array('it', 'makes', 'a', 'great', 'simple') AS words, array(array(0.0D, .2D, .2D, .3D, .3D), array(.1D, 0.0D, .2D, .3D, .4D), array(.2D, .2D, 0.0D, .3D, .3D), array(.05D, .4D, .1D, 0.0D, .45D), array(.1D, .3D, .1D, .5D, 0.0D)) AS m, array(3) AS at) t, LATERAL facts_of_row(t.words, t.m, t.at) f")
+    words = F.regexp_extract_all(F.lower("url"), F.lit(r"\p{L}+"), F.lit(0))
+    table(spark, sf_dir, "pages").select("page_id", words.alias("words")).createOrReplaceTempView("page_words")
+    return spark.sql("SELECT t.page_id, f.* FROM (SELECT page_id, words, transform(words, (x, i) -> transform(words, (y, j) -> cast(length(y) AS double) / (1 + abs(i - j)))) AS m, filter(transform(words, (x, i) -> if(length(x) >= 6, i, -1)), i -> i >= 0) AS at FROM page_words) t, LATERAL facts_of_row(t.words, t.m, t.at) f")
 
 
 @query("SELECT source, avg(n_chars) AS mean FROM documents GROUP BY source")
