@@ -76,7 +76,8 @@ def dedup_lines(docs: DataFrame, window: int = 3, long_line: int = 60, names: tu
     i, m, g = fresh(docs, "lost_id", "lost_mark", "lost")
     gone = scratch.keep(gone.select(F.col("doc_id").alias(i), F.col("mark").alias(m), F.col("gone").alias(g)), "gone")
     scratch.only("gone")
-    cut = docs.join(small(gone, f"2 + size({g})"), docs["doc_id"].eqNullSafe(F.col(i)) & (F.xxhash64(docs["text"]) == F.col(m)), "left")
+    # one form at every size: the numbers of deleted lines grow with the corpus, so a broadcast would only do for small ones
+    cut = docs.join(gone.hint("merge"), docs["doc_id"].eqNullSafe(F.col(i)) & (F.xxhash64(docs["text"]) == F.col(m)), "left")
     text, lost = docs["text"], F.col(g)
     lines = F.split(text, "\n", -1)
     kept = F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), lost)
