@@ -220,6 +220,9 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
     scratch.drop("posts-0")
 
     room, allow = _room(threshold), _bitmaps_allow(threshold)
+    at_place = room
+    for new, old in (("na", "n"), ("nb", "n2"), ("pa", "pos"), ("pb", "pos2")):
+        at_place = re.sub(rf"\b{new}\b", old, at_place)
     sides = [F.least("d", "d2").alias("a"), F.greatest("d", "d2").alias("b"), F.col("n").alias("na"), F.col("n2").alias("nb"), F.col("pos").alias("pa"), F.col("pos2").alias("pb")]
     edges, tested, comps = None, None, None
     wide = posts.groupBy("h").agg(F.count("*").alias("m")).where(F.col("m") >= WIDE).select("h")
@@ -235,7 +238,9 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
         else:
             order = W.partitionBy("h").orderBy(F.xxhash64("d", "h", F.lit(turn)), "d")
             near = F.array(*[F.lag(F.struct("d", "n", "pos", "comp", "bits"), i).over(order) for i in range(1, NEIGHBOURS[min(turn, len(NEIGHBOURS)) - 1] + 1)])
-            met = wide.withColumn("near", near).select("*", F.explode(F.filter("near", lambda x: x.isNotNull() & (x.comp != F.col("comp")))).alias("l"))
+            # a neighbour is tested where it stands, so only pairs that sizes, positions and bitmaps allow become rows
+            fits = re.sub(r"\b(d|n|pos|comp|bits)2\b", r"l.\1", f"comp != comp2 and d != d2 and {at_place} and {allow}")
+            met = wide.withColumn("near", near).select("*", F.explode(F.expr(f"filter(near, l -> l is not null and {fits})")).alias("l"))
         met = met.select("d", "n", "pos", "comp", "bits", *[F.col(f"l.{x}").alias(f"{x}2") for x in ("d", "n", "pos", "comp", "bits")])
         pairs = met.where("comp != comp2 and d != d2").where(allow).select(*sides).where(room).select("a", "b").distinct()
         pairs = scratch.keep(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"), f"pairs-{turn}")
@@ -246,9 +251,6 @@ def link_components(docs: DataFrame, k: int = 5, threshold: Fraction = Fraction(
         if turn and found.count() * WORTH < pairs.count():
             break
     rest = scratch.keep(_open_columns(posts, comps), "open") if comps is not None else posts.withColumn("comp", F.col("d"))
-    at_place = room
-    for new, old in (("na", "n"), ("nb", "n2"), ("pa", "pos"), ("pb", "pos2")):
-        at_place = re.sub(rf"\b{new}\b", old, at_place)
     other = rest.select("h", *[F.col(x).alias(f"{x}2") for x in ("d", "n", "pos", "comp", "bits")])
     met = rest.join(other, "h").where(F.expr("d < d2 and comp != comp2") & F.expr(at_place) & F.expr(allow))
     pairs = met.select(*sides).select("a", "b").distinct()

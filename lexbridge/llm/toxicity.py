@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 from lexbridge.llm import tokens
 from lexbridge.llm.sampling import first_by_hash, held_out
+from lexbridge.llm.scratch import give_back
 
 BITS = 18
 _NOT_WORD = np.ones(256, dtype=bool)
@@ -139,7 +140,10 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, epoc
         r = got.pop()
         bags.append((r.bag.codes, r.bag.sizes))
         y.append(r.toxic == 1)
-    return _fit(bags, y, epochs, alpha, l1, l2, start)
+    model = _fit(bags, y, epochs, alpha, l1, l2, start)
+    bags.clear()
+    give_back()
+    return model
 
 
 def _scored(m: ToxicModel, batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
