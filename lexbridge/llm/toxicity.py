@@ -19,7 +19,6 @@ from pyspark.sql import functions as F
 
 from lexbridge.llm import tokens
 from lexbridge.llm.sampling import first_by_hash, held_out
-from lexbridge.llm.scratch import give_back
 
 BITS = 18
 _NOT_WORD = np.ones(256, dtype=bool)
@@ -124,6 +123,18 @@ def _fit(bags, y, epochs: int, alpha: float, l1: float, l2: float, start: float)
     return ToxicModel(w.astype(np.float32), float(bias))
 
 
+def _fitted(*settings):
+    """One row, weights and bias, of all bags that the task holds, learned from in order of id."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = [r for batch in batches for r in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "toxic", "codes", "sizes")), strict=True)]
+        rows.sort(key=lambda r: r[0])
+        model = _fit([r[2:] for r in rows], [r[1] == 1 for r in rows], *settings)
+        yield pa.record_batch([pa.array([model.weights.tobytes()], pa.binary()), pa.array([model.bias])], names=["weights", "bias"])
+
+    return run
+
+
 def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, epochs: int = 4, alpha: float = 0.5, l1: float = 0.6, l2: float = 0.1, start: float = -6.0) -> ToxicModel:
     """Learns from ``labels`` (doc_id, toxic) of documents that are not held out: at most ``max_rows`` labelled ids, the first by hash.
 
@@ -133,17 +144,11 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, max_rows: int = 8_000, epoc
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     picked = first_by_hash(known.select(F.col("doc_id").cast("long").alias("doc_id"), "toxic"), max_rows)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(picked), "doc_id")
-    rows = rows.mapInArrow(_bag_rows, "doc_id long, toxic int, codes binary, sizes binary").groupBy("doc_id", "toxic").agg(F.min(F.struct("codes", "sizes")).alias("bag"))
-    bags, y = [], []
-    got = sorted(rows.collect(), key=lambda r: r.doc_id, reverse=True)  # at most max_rows documents
-    while got:
-        r = got.pop()
-        bags.append((r.bag.codes, r.bag.sizes))
-        y.append(r.toxic == 1)
-    model = _fit(bags, y, epochs, alpha, l1, l2, start)
-    bags.clear()
-    give_back()
-    return model
+    bags = rows.mapInArrow(_bag_rows, "doc_id long, toxic int, codes binary, sizes binary").groupBy("doc_id", "toxic").agg(F.min(F.struct("codes", "sizes")).alias("bag"))
+    # at most max_rows documents, which one task holds; the driver sees the weights alone
+    settings = (epochs, alpha, l1, l2, start)
+    fitted = bags.select("doc_id", "toxic", "bag.*").coalesce(1).mapInArrow(_fitted(*settings), "weights binary, bias double").first()
+    return ToxicModel(np.frombuffer(fitted.weights, np.float32), fitted.bias) if fitted else _fit([], [], *settings)
 
 
 def _scored(m: ToxicModel, batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

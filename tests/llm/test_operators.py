@@ -354,3 +354,16 @@ def test_deleted_lines_meet_their_texts_in_one_form_at_every_size(spark):
     out = dedup_lines(docs)
     assert "BroadcastHashJoin" not in out._jdf.queryExecution().executedPlan().toString()
     assert sorted(r.n_deleted for r in out.collect()) == [0, 0, 3, 3, 3]
+
+
+def test_toxicity_is_learned_in_a_task_not_in_the_driver(spark, monkeypatch):
+    import os
+
+    from lexbridge.llm import toxicity
+
+    rows = [(d, "plain words here. " + ("awful stuff." if d % 2 else "nice day.")) for d in range(60)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    known = spark.createDataFrame([(d, d % 2) for d in range(60)], "doc_id long, toxic int")
+    monkeypatch.setattr(toxicity, "_fit", lambda bags, y, *_: toxicity.ToxicModel(np.array([len(bags), sum(y)], np.float32), float(os.getpid())))
+    model = toxicity.fit_toxicity(docs, known)
+    assert model.bias != os.getpid() and model.weights[0] > model.weights[1] > 0
