@@ -1,8 +1,9 @@
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from lexbridge.operators import model as M
-from lexbridge.operators.encoder import VisibleEncoder, bag
+from lexbridge.operators.encoder import VisibleEncoder, bag, bags
 from lexbridge.operators.inject import visible_mask
 
 CFG = M.TrainConfig(dims=12, hidden=3)
@@ -89,3 +90,15 @@ def test_bag_without_branches_is_the_plain_bag():
     with_branch = trunk + [{"tok": "zz", "pos": 1, "branch": 1, "trunk": 0}]
     assert [list(v) for v in bag(with_branch, 64, 0.0)] == [list(v) for v in bag(trunk, 64, 0.0)]
     assert len(bag(with_branch, 64, 0.5)[0]) == 2 and len(bag([], 64, 0.5)[0]) == 0
+
+
+def test_bags_of_many_texts_equal_those_of_each():
+    rng = np.random.default_rng(3)
+    tok = lambda n: [{"tok": f"w{rng.integers(30)}", "pos": int(k + b), "branch": int(b and k * 64 + b), "trunk": k} for k in range(n) for b in (0, 1, 2)[: 1 + 2 * int(rng.integers(2))]]
+    texts, sets, of = [tok(n) for n in (40, 0, 7, 1, 300)], [frozenset({"w1", "w2"}), frozenset()], np.array([0, 1, 0, 1, 0])
+    kind = pa.list_(pa.struct([("tok", pa.string()), ("pos", pa.int32()), ("branch", pa.int32()), ("trunk", pa.int32())]))
+    got = list(bags(pa.array([*texts, None], kind)[:5], 64, 0.5, sets, of))
+    for t, s, (ix, v, mix, mv, piv) in zip(texts, of, got, strict=True):
+        assert [x.tolist() for x in (*bag(t, 64, 0.5), *bag(t, 64, 0.5, sets[s]))] == [x.tolist() for x in (ix, v, mix, mv)]
+        assert piv == sorted({x["tok"] for x in t if x["branch"] == 0 and x["tok"] in sets[s]})
+    assert [x[0].tolist() for x in bags(pa.array(texts, kind), 64, 0.5)] == [bag(t, 64, 0.5)[0].tolist() for t in texts]
