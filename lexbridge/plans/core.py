@@ -9,7 +9,9 @@ from lexbridge.operators import bank as B
 from lexbridge.operators import metrics as M
 from lexbridge.operators import naive_bayes as NB
 from lexbridge.operators import pivots as P
+from lexbridge.operators import renewal as R
 from lexbridge.plans.frames import ALPHA, BANK, CORPUS, EVIDENCED, INC, K, MIN_DF, NAIVE, PAIRS, POL, POOL, PSEUDO, SENTENCES, SEED, WORDS, Frames, td_sql, with_
+from lexbridge.sources.stage import stage
 from lexbridge.sources.tables import DOMAINS, corpus, html_text, table
 
 INSULTS = ["moron", "stupid", "trash", "loser", "worthless", "clown", "scum"]
@@ -199,12 +201,10 @@ def bank_refresh_epoch(spark, sf_dir):
 def bank_refresh_10(spark, sf_dir):
     """Pivots renewed every ten steps: the bank after each block of ten, for all pairs in one pass."""
     f = Frames(spark, sf_dir)
-    hist = B.history(f.bank(), f.updates(), ALPHA, 10)
-    score = hist.groupBy("src", "tgt", "block", "word").agg((F.abs(F.sum("p")) / 2).alias("score")).join(f.pool, ["src", "tgt", "word"])
-    from pyspark.sql import Window as W
-
-    rank = F.row_number().over(W.partitionBy("src", "tgt", "block").orderBy(F.desc(F.round("score", 9)), F.desc(F.col("df_s") + F.col("df_t")), "word"))
-    return score.withColumn("rank", rank).where(F.col("rank") <= K).select("src", "tgt", "block", "rank", "word", "score")
+    f.counts = stage(f.counts, "counts")  # pool, polarity and scores read them
+    f.pool, f.pol = stage(P.candidate_pool(f.counts, f.pairs, f.min_df), "pool"), P.polarity(f.counts)
+    ev = B.schedule(f.evidence(), ("src", "tgt", "side"), SEED)
+    return R.renewed_pivots(f.docs, ev, f.pool, f.bank(), ALPHA, 10, K)
 
 
 @query(with_(*EVIDENCED, td_sql(), "t AS (SELECT 'learnt' AS bank, * FROM (SELECT src, tgt, side, word, p FROM folded_bank) UNION ALL SELECT 'initial', src, tgt, side, word, p FROM bank)",
