@@ -133,3 +133,19 @@ def test_chains_do_not_depend_on_batches():
     partners = {(g, a) for g, a, *_ in want} | {(g, b) for g, _, b, *_ in want}
     assert partners == {(g, d) for g, d, _ in rows if len({y for x, y, _ in rows if x == g}) > 1}
     assert len(want) >= len(rows) - len({(g, d) for g, d, _ in rows})
+
+
+def test_all_places_of_a_passage_are_of_one_class(spark):
+    rng = random.Random(7)
+    prose = lambda n: [f"w{rng.randrange(10**6)}" for _ in range(n)]
+    p, q = prose(120), prose(90)
+    rows = []
+    for d in range(5):  # each pair of these differs in two words and is alike
+        near = [*p]
+        near[20 * d + 10] = f"x{d}"
+        rows.append((d, " ".join(prose(40) + near + prose(30) + (q if d in (1, 4) else prose(20)) + prose(25))))
+    got = repeated_passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    of = lambda low, high: {(r.doc_id, r.class_doc, r.class_start) for r in got if low <= r.start_word < high}
+    first, second = of(0, 150), of(150, 400)
+    assert {d for d, *_ in first} == set(range(5)) and len({c[1:] for c in first}) == 1 and {c[1] for c in first} == {0}
+    assert {d for d, *_ in second} == {1, 4} and {c[1] for c in second} == {1} and len({c[1:] for c in second}) == 1
