@@ -5,6 +5,7 @@ import random
 import numpy as np
 import pyarrow as pa
 
+from lexbridge.llm import passage_dedup as P
 from lexbridge.llm import tokens
 from lexbridge.llm.passage_dedup import SHINGLE, _alike, _chained, _filed, _refiled, _shingles, _stretch_hashes, repeated_passages
 
@@ -149,3 +150,25 @@ def test_all_places_of_a_passage_are_of_one_class(spark):
     first, second = of(0, 150), of(150, 400)
     assert {d for d, *_ in first} == set(range(5)) and len({c[1:] for c in first}) == 1 and {c[1] for c in first} == {0}
     assert {d for d, *_ in second} == {1, 4} and {c[1] for c in second} == {1} and len({c[1:] for c in second}) == 1
+
+
+def test_second_filing_moves_texts_alike_at_every_size(spark, monkeypatch):
+    words = [f"w{i}" for i in range(400)]
+    same = " ".join(words[:60])
+    texts = [f"{' '.join(f'{x}{d}' for x in words[60 : 90 + d])} {same} {' '.join(f'{d}{x}' for x in words[200:260])}" for d in range(5)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    seen = []
+    chain = P._chain
+    monkeypatch.setattr(P, "_chain", lambda filed: seen.append(filed) or chain(filed))
+    P.repeated_passages(docs).collect()
+    plan = seen[1]._jdf.queryExecution().optimizedPlan().toString()
+    top = plan[plan.index("MapInArrow") :].splitlines()
+    join = next(x for x in top if "Join Inner" in x)
+    assert "Hint" not in join and "broadcast" not in join and any("LeftSemi" in x for x in top)
+
+
+def test_signatures_of_a_document_do_not_depend_on_its_neighbours():
+    draw = random.Random(5)
+    texts = [" ".join(f"v{draw.randrange(10**6)}" for _ in range(n)) for n in (120, 3, 70, 260)]
+    filed = lambda ids: sorted(tuple(r.values()) for b in _filed(46)(iter([pa.record_batch([pa.array(ids), pa.array([texts[i] for i in ids])], names=["doc_id", "text"])])) for r in b.to_pylist())
+    assert filed([0, 1, 2, 3]) == sorted(filed([3, 0]) + filed([2, 1]))
